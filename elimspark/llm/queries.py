@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, minhash, mixing, sharding, toxicity
+from . import ann, decontam, html, langid, lines, minhash, mixing, sharding, suffix, toxicity
 
 
 def table(spark: SparkSession, folder: str, name: str) -> DataFrame:
@@ -46,10 +46,63 @@ SELECT doc_id, source, CAST(unnest(range(1, CAST(copies AS BIGINT) + 1)) AS BIGI
 """
 
 
+def op2_language_id(spark: SparkSession, folder: str) -> DataFrame:
+    documents = table(spark, folder, "documents")
+    return langid.identify(documents, langid.fit(documents))
+
+
+def op3_html(spark: SparkSession, folder: str) -> DataFrame:
+    pages = table(spark, folder, "pages")
+    return html.extract(pages, html.fit(pages))
+
+
 def op4_minhash(spark: SparkSession, folder: str) -> DataFrame:
     return minhash.near_duplicate_groups(table(spark, folder, "documents"))
 
 
+def op5_line_dedup(spark: SparkSession, folder: str) -> DataFrame:
+    return lines.deduplicate(table(spark, folder, "documents"))
+
+
+OP5_SQL = f"""
+WITH l AS (
+  SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS k FROM documents
+), n AS (
+  SELECT doc_id, k, line, regexp_replace(line, '^\\s+|\\s+$', '', 'g') AS bare FROM l
+), c AS (
+  SELECT bare FROM n WHERE bare <> '' GROUP BY bare HAVING count(DISTINCT doc_id) > {lines.MAX_DOCS}
+), m AS (
+  SELECT n.*, c.bare IS NOT NULL AS gone FROM n LEFT JOIN c ON n.bare = c.bare
+)
+SELECT doc_id, coalesce(string_agg(line, chr(10) ORDER BY k) FILTER (NOT gone), '') AS kept_text,
+       CAST(count(*) FILTER (bare <> '') AS BIGINT) AS lines, CAST(count(*) FILTER (gone) AS BIGINT) AS dropped
+FROM m GROUP BY doc_id
+"""
+
+
+def op6_suffix_array(spark: SparkSession, folder: str) -> DataFrame:
+    return suffix.repeated_passages(table(spark, folder, "documents"))
+
+
+OP6_SQL = f"""
+WITH t AS (
+  SELECT doc_id, list_filter(string_split_regex(text, '\\s+'), lambda x: x <> '') AS w FROM documents
+), u AS (
+  SELECT doc_id, unnest(w) AS x, generate_subscripts(w, 1) AS i FROM t
+), k AS (
+  SELECT doc_id, i, string_agg(x, ' ') OVER win AS s, count(*) OVER win AS c FROM u
+  WINDOW win AS (PARTITION BY doc_id ORDER BY i ROWS BETWEEN CURRENT ROW AND {suffix.LENGTH - 1} FOLLOWING)
+), r AS (
+  SELECT doc_id, i FROM k WHERE c = {suffix.LENGTH} AND s IN (SELECT s FROM k WHERE c = {suffix.LENGTH} GROUP BY s HAVING count(*) > 1)
+), b AS (
+  SELECT doc_id, i, CASE WHEN i - lag(i) OVER (PARTITION BY doc_id ORDER BY i) <= {suffix.LENGTH} THEN 0 ELSE 1 END AS new FROM r
+), g AS (
+  SELECT doc_id, i, sum(new) OVER (PARTITION BY doc_id ORDER BY i) AS part FROM b
+)
+SELECT doc_id, CAST(min(i) - 1 AS BIGINT) AS start_word, CAST(max(i) - 1 + {suffix.LENGTH} AS BIGINT) AS end_word FROM g GROUP BY doc_id, part
+"""
+
+
 def op7_decontamination(spark: SparkSession, folder: str) -> DataFrame:
     return decontam.leaks(table(spark, folder, "documents"), table(spark, folder, "benchmark"))
 
@@ -76,6 +129,10 @@ SELECT d.doc_id, o.size AS group_size, s.shard FROM documents d JOIN o ON coales
 """
 
 
+def op9_nearest(spark: SparkSession, folder: str) -> DataFrame:
+    return ann.neighbours(table(spark, folder, "embeddings"))
+
+
 def op10_toxicity(spark: SparkSession, folder: str) -> DataFrame:
     """The documents that the lexicon, learned on this folder's labels, rejects, with their scores."""
     documents = table(spark, folder, "documents")
@@ -85,9 +142,14 @@ def op10_toxicity(spark: SparkSession, folder: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mixing": op1_mixing,
+    "op2_language_id": op2_language_id,
+    "op3_html": op3_html,
     "op4_minhash": op4_minhash,
+    "op5_line_dedup": op5_line_dedup,
+    "op6_suffix_array": op6_suffix_array,
     "op7_decontamination": op7_decontamination,
     "op8_sharding": op8_sharding,
+    "op9_nearest": op9_nearest,
     "op10_toxicity": op10_toxicity,
 }
-ORACLES: dict[str, str] = {"op1_mixing": OP1_SQL, "op8_sharding": OP8_SQL}
+ORACLES: dict[str, str] = {"op1_mixing": OP1_SQL, "op5_line_dedup": OP5_SQL, "op6_suffix_array": OP6_SQL, "op8_sharding": OP8_SQL}
