@@ -10,7 +10,8 @@ The score is the sum of weights per 100 words (at least ``MIN_WORDS`` words).
 The lexicon is a public seed list plus entries learned from labelled documents: words
 and word beginnings whose share of toxic documents exceeds that of clean ones by far,
 weighted by the logarithm of that ratio. Learning reads at most ``MAX_LABELLED`` labelled
-documents of each class; the cut score is the one that separates those best.
+documents of each class; the cut score is the one that best separates a held-out
+quarter of them, scored with the lexicon of the rest.
 
 Edge cases: null or empty text scores 0; a null doc_id keeps its row; rows are scored one
 by one, so repeated rows give repeated results; without labels the seed list is used alone.
@@ -139,39 +140,48 @@ def learn(spark: SparkSession, documents: DataFrame, labels: DataFrame | None, l
     known = labels.where(F.col("toxic").isin(0, 1) & F.col("doc_id").isNotNull()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     order = F.xxhash64("doc_id"), F.col("doc_id")
     sample = known.where("toxic = 1").orderBy(*order).limit(limit).unionByName(known.where("toxic = 0").orderBy(*order).limit(limit))
-    texts = documents.select("doc_id", "text").join(F.broadcast(sample), "doc_id")
+    # A quarter is held out: the cut is chosen on documents that its lexicon hasn't seen.
+    part = (F.pmod(F.xxhash64("doc_id", F.lit("part")), F.lit(4)) == 0).alias("held")
+    texts = documents.select("doc_id", "text").join(F.broadcast(sample), "doc_id").select("text", "toxic", part)
 
     def features(batches):
         counts: Counter = Counter()
         for batch in batches:
-            for text, toxic in zip(batch.column("text").to_pylist(), batch.column("toxic").to_pylist()):
+            for text, toxic, held in zip(*(batch.column(c).to_pylist() for c in ("text", "toxic", "held"))):
                 words = set(fold(text or "").split())
                 seen = words | {w[:k] + "*" for w in words for k in STEMS if len(w) >= k}
-                counts.update((x, toxic) for x in seen)
-                counts[("", toxic)] += 1
+                counts.update((x, toxic, held) for x in seen)
+                counts[("", toxic, held)] += 1
         keys = list(counts)
-        yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.string()), pa.array([int(k[1]) for k in keys], pa.int32()), pa.array([counts[k] for k in keys], pa.int64())], ["term", "toxic", "docs"])
+        yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.string()), pa.array([int(k[1]) for k in keys], pa.int32()), pa.array([k[2] for k in keys], pa.bool_()), pa.array([counts[k] for k in keys], pa.int64())], ["term", "toxic", "held", "docs"])
 
-    terms = texts.select("text", "toxic").mapInArrow(features, "term string, toxic int, docs long")
-    per = terms.groupBy("term").agg(F.sum(F.when(F.col("toxic") == 1, F.col("docs")).otherwise(0)).alias("bad"), F.sum(F.when(F.col("toxic") == 0, F.col("docs")).otherwise(0)).alias("good"))
+    terms = texts.mapInArrow(features, "term string, toxic int, held boolean, docs long")
+    total = lambda toxic, also=F.lit(True): F.sum(F.when((F.col("toxic") == toxic) & also, F.col("docs")).otherwise(0))
+    per = terms.groupBy("term").agg(total(1).alias("bad"), total(0).alias("good"), total(1, ~F.col("held")).alias("bad_seen"), total(0, ~F.col("held")).alias("good_seen"))
     totals = per.where("term = ''").first()
     if totals is None or not totals.bad:
         return dict(SEED), DEFAULT_CUT
-    bad, good = totals.bad + 1.0, totals.good + 1.0
-    ratio = F.log((F.col("bad") + 0.5) / F.lit(bad)) - F.log((F.col("good") + 0.5) / F.lit(good))
-    rows = per.where((F.col("term") != "") & (F.col("bad") >= MIN_DOCS)).withColumn("weight", F.round(ratio, 6)).where(F.col("weight") >= MIN_WEIGHT).orderBy(F.desc("weight"), "term").limit(MAX_LEARNED).collect()
-    lexicon = dict(SEED)
-    for row in rows:
-        lexicon[row.term] = max(lexicon.get(row.term, 0.0), row.weight)
-    matcher = Matcher(lexicon)
+
+    def weight(bad: str, good: str):
+        ratio = F.log((F.col(bad) + 0.5) / F.lit(totals[bad] + 1.0)) - F.log((F.col(good) + 0.5) / F.lit(totals[good] + 1.0))
+        return F.when((F.col(bad) >= MIN_DOCS) & (ratio >= MIN_WEIGHT), F.round(ratio, 6)).otherwise(0.0)
+
+    weighed = per.where("term <> ''").select("term", weight("bad", "good").alias("final"), weight("bad_seen", "good_seen").alias("trial"))
+    rows = weighed.where("final > 0 or trial > 0").orderBy(F.desc(F.greatest("final", "trial")), "term").limit(MAX_LEARNED).collect()
+
+    def lexicon(column: str) -> dict[str, float]:
+        return SEED | {r.term: max(SEED.get(r.term, 0.0), r[column]) for r in rows if r[column]}
+
+    trial = lexicon("trial")
 
     def judge(batches):
+        matcher = Matcher(trial)
         for batch in batches:
             found = [matcher.scan(t or "") for t in batch.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array([score_of(w, n) for w, _, n in found], pa.float64()), pa.array(batch.column("toxic").to_pylist(), pa.int32())], ["score", "toxic"])
 
-    scores = texts.select("text", "toxic").mapInArrow(judge, "score double, toxic int").collect()
-    return lexicon, best_cut([r.score for r in scores if r.toxic == 1], [r.score for r in scores if r.toxic == 0])
+    scores = texts.where("held").select("text", "toxic").mapInArrow(judge, "score double, toxic int").collect()
+    return lexicon("final"), best_cut([r.score for r in scores if r.toxic == 1], [r.score for r in scores if r.toxic == 0])
 
 
 def best_cut(toxic: list[float], clean: list[float]) -> float:
