@@ -222,7 +222,7 @@ def subset_dp_query(sp, d):
     return sp.createDataFrame([(g.name, local.subset_dp(g)[0])], "graph_id string, width long")
 
 
-@register("brute_orders_n7", f"""WITH RECURSIVE {o.walk(_EMB7, "SELECT 64", 'none', False).split("r AS (")[0].rstrip().rstrip(",")},
+@register("brute_orders_n7", f"""WITH RECURSIVE {o.walk(_EMB7, "SELECT 64", 'none', False).split("\nr AS (")[0].rstrip().rstrip(",")},
 r AS (SELECT graph_id, CAST(0 AS UBIGINT) AS s, a, CAST(0 AS BIGINT) AS w FROM ad UNION ALL
   SELECT r.graph_id, r.s | {o.bit('t.x')}, {o.REMOVE}, greatest(r.w, CAST(bit_count(r.a[t.x + 1]) AS BIGINT)) FROM r, nn, (SELECT unnest(range(0, 64)) AS x) t WHERE t.x < nn.n AND (r.s >> t.x) & 1 = 0)
 SELECT r.graph_id, min(w) AS width FROM r, nn WHERE bit_count(s) = nn.n GROUP BY r.graph_id""")
@@ -323,7 +323,7 @@ SELECT 'g' AS graph_id, array_to_string(q, ' ') AS verts, CAST(len(q) AS BIGINT)
 # Orders
 
 
-@register("order_width_identity", f"""WITH RECURSIVE {o.walk(EMBED, "SELECT 64", 'none', False).split("r AS (")[0].rstrip().rstrip(",")},
+@register("order_width_identity", f"""WITH RECURSIVE {o.walk(EMBED, "SELECT 64", 'none', False).split("\nr AS (")[0].rstrip().rstrip(",")},
 r AS (SELECT graph_id, CAST(-1 AS BIGINT) AS pos, CAST(0 AS BIGINT) AS deg, a FROM ad UNION ALL
   SELECT r.graph_id, t.x, CAST(bit_count(r.a[t.x + 1]) AS BIGINT), {o.REMOVE} FROM r JOIN (SELECT unnest(range(0, 64)) AS x) t ON t.x = r.pos + 1, nn WHERE t.x < nn.n)
 SELECT graph_id, pos, deg FROM r WHERE pos >= 0""")
