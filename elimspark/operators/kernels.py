@@ -17,7 +17,7 @@ from __future__ import annotations
 import numpy as np
 
 U64 = np.uint64
-BLOCK = 2048
+BLOCK = 8192
 
 
 def _has(sets: np.ndarray, v: int) -> np.ndarray:
@@ -110,9 +110,52 @@ def remaining(sets: np.ndarray, table: np.ndarray) -> np.ndarray:
     return graph
 
 
-def degrees_remove(sets: np.ndarray, table: np.ndarray) -> np.ndarray:
-    graph = remaining(sets, table)
-    return np.bitwise_count(graph).sum(1, dtype=np.uint16)
+def degrees_remove(sets: np.ndarray, table: np.ndarray, skip: int = 0) -> np.ndarray:
+    """Removal, with what the batch shares done once; vertices of ``skip`` get no degree.
+
+    Frontiers are sorted, so neighbouring sets share their high vertices: those in all sets
+    of the batch leave one common graph first, those in none are never removed. The
+    vertices that are left are renumbered, so the masks fit the narrowest integers.
+    """
+    if table.ndim != 2 or len(sets) > 1:
+        return np.bitwise_count(remaining(sets, table)).sum(1, dtype=np.uint16)
+    row = sets[0]
+    n, batch = table.shape[1], len(row)
+    common, some = int(np.bitwise_and.reduce(row)), int(np.bitwise_or.reduce(row))
+    masks = [int(m) for m in table[0]]
+    for u in range(n):
+        if common >> u & 1:
+            gone, masks[u] = masks[u] & ~(1 << u), 0
+            for v in range(n):
+                if masks[v] >> u & 1:
+                    masks[v] = (masks[v] | gone) & ~(1 << u | 1 << v)
+    left = [v for v in range(n) if not common >> v & 1]
+    # Vertices that need a row come first, so that their bits are the low ones.
+    left.sort(key=lambda v: (skip >> v & 1, v))
+    width = next(w for w in (16, 32, 64) if len(left) <= w)
+    kind, signed = getattr(np, f"uint{width}"), getattr(np, f"int{width}")
+    rows = [v for v in left if not skip >> v & 1]
+    packed = np.zeros(batch, kind)
+    for i, u in enumerate(rows):
+        if some >> u & 1:
+            packed |= (row >> U64(u) & U64(1)).astype(kind) << kind(i)
+    graph = np.empty((len(rows), batch), kind)
+    graph[:] = np.array([sum(1 << i for i, u in enumerate(left) if masks[v] >> u & 1) for v in rows], kind)[:, None]
+    touch = np.empty_like(graph)
+    for i, u in enumerate(rows):
+        if not some >> u & 1:
+            continue
+        shift = kind(width - 1 - i)
+        gone = graph[i] & ((packed << shift).view(signed) >> signed(width - 1)).view(kind)
+        np.left_shift(graph, shift, out=touch)
+        np.right_shift(touch.view(signed), signed(width - 1), out=touch.view(signed))
+        np.bitwise_and(touch, gone, out=touch)
+        np.bitwise_or(graph, touch, out=graph)
+    graph &= ~packed
+    out = np.zeros((n, batch), np.uint8)
+    for i, v in enumerate(rows):
+        out[v] = np.bitwise_count(graph[i] & kind((1 << width) - 1 & ~(1 << i)))
+    return out
 
 
 KERNELS = {"search": degrees_search, "parts": degrees_parts, "remove": degrees_remove}
@@ -124,46 +167,63 @@ def split_mask(mask: int, words: int) -> np.ndarray:
 
 
 def fold(sets: np.ndarray, last: np.ndarray, ways: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """One row per distinct set: least ``last``, summed ``ways``."""
+    """One row per distinct set, sorted: the first ``last`` in the order given, summed ``ways``.
+
+    The sort is stable and merges runs, which is what expansion makes: one rising run per vertex.
+    """
     if not sets.shape[1]:
         return sets, last, ways
-    order = np.lexsort((last, *sets))
-    sets, last, ways = sets[:, order], last[order], ways[order]
+    order = np.argsort(sets[0], kind="stable") if len(sets) == 1 else np.lexsort(sets)
+    sets = sets[:, order]
     new = np.concatenate([[True], (sets[:, 1:] != sets[:, :-1]).any(0)])
     begins = np.flatnonzero(new)
-    return sets[:, begins], last[begins], np.add.reduceat(ways, begins)
+    return sets[:, begins], last[order[begins]], np.add.reduceat(ways[order], begins)
 
 
-def expand(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, clique: int = 0, kernel: str = "remove", bound=None, block: int = BLOCK, combine: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+def _block(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, barred: np.ndarray, kernel: str, bound) -> tuple[list, int]:
+    """Per vertex the feasible supersets of one block, and how many sets the bound dropped."""
+    if kernel == "remove" and bound is None:
+        degree = degrees_remove(sets, table, sum(int(w) << 64 * i for i, w in enumerate(barred)))
+    else:
+        degree = KERNELS[kernel](sets, table)
+    pruned = 0
+    if bound is not None:
+        good = bound(sets, degree, table)
+        pruned = int((~good).sum())
+        sets, last, degree = sets[:, good], last[good], degree[:, good]
+    closed = sets | barred[:, None]
+    out = []
+    for v in range(table.shape[1]):
+        if barred[v >> 6] >> U64(v & 63) & U64(1):
+            out.append(None)
+            continue
+        hit = np.flatnonzero((degree[v] <= k) & (closed[v >> 6] >> U64(v & 63) & U64(1) == 0))
+        if not len(hit):
+            out.append(None)
+            continue
+        more = sets[:, hit]
+        more[v >> 6] |= U64(1) << U64(v & 63)
+        out.append((more, (last[hit].view(np.uint32) << np.uint32(8) | np.uint32(v)).view(np.int32)))
+    return out, pruned
+
+
+def expand(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, clique: int = 0, kernel: str = "remove", bound=None, block: int = BLOCK) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
     """Feasible supersets by one vertex of every set of a batch: (sets, last, ways, sets dropped by the bound).
 
     A set's vertex v is feasible if v is outside the set and the clique and its degree is
-    at most k. ``bound(sets, degrees)`` may drop sets before they are expanded. ``last``
-    shifts in the new vertex, so it holds the last four.
+    at most k. ``bound(sets, degrees, table)`` may drop sets before they are expanded.
+    ``last`` shifts in the new vertex, so it holds the last four. Results come vertex by
+    vertex, each a rising run if the batch is sorted.
     """
     words, n = table.shape
     barred = split_mask(clique, words)
-    found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-    pruned = 0
-    for a in range(0, sets.shape[1], block):
-        part, was = sets[:, a : a + block], last[a : a + block]
-        degree = KERNELS[kernel](part, table)
-        if bound is not None:
-            good = bound(part, degree, table)
-            pruned += int((~good).sum())
-            part, was, degree = part[:, good], was[good], degree[:, good]
-        closed = part | barred[:, None]
-        new, after = [], []
-        for v in range(n):
-            hit = np.flatnonzero((degree[v] <= k) & (_has(closed, v) == 0))
-            if len(hit):
-                more = part[:, hit].copy()
-                more[v >> 6] |= U64(1) << U64(v & 63)
-                new.append(more)
-                after.append((was[hit].astype(np.uint32) << np.uint32(8) | np.uint32(v)).view(np.int32))
-        if new:
-            sets_, last_ = np.concatenate(new, 1), np.concatenate(after)
-            found.append(fold(sets_, last_, np.ones(len(last_), np.int64)) if combine else (sets_, last_, np.ones(len(last_), np.int64)))
+    last = np.ascontiguousarray(last)
+    cuts = range(0, sets.shape[1], block)
+    job = lambda a: _block(sets[:, a : a + block], last[a : a + block], table, k, barred, kernel, bound)
+    done = [job(a) for a in cuts]
+    found = [part[v] for v in range(n) for part, _ in done if part[v] is not None]
+    pruned = sum(p for _, p in done)
     if not found:
         return np.zeros((words, 0), U64), np.zeros(0, np.int32), np.zeros(0, np.int64), pruned
-    return np.concatenate([f[0] for f in found], 1), np.concatenate([f[1] for f in found]), np.concatenate([f[2] for f in found]), pruned
+    out = np.concatenate([f[0] for f in found], 1)
+    return out, np.concatenate([f[1] for f in found]), np.ones(out.shape[1], np.int64), pruned

@@ -113,6 +113,9 @@ class Walk:
         sets = np.zeros((graph.words, 1), U64)
         front: tuple | DataFrame = (sets, np.zeros(1, np.int32), np.ones(1, np.int64))
         count, levels, cut = 1, [], False
+        if size > k + 1:
+            # A clique of k + 2 vertices refutes the target by itself.
+            return False, levels, cut
         if keep is not None:
             keep[0] = front
         for level in range(max(0, rounds)):
@@ -141,7 +144,7 @@ class Walk:
     def _local(self, front: tuple, graph: Graph, k: int, clique: int, row: Level) -> tuple:
         bound = bounds.state_bound(k, self.o.mmw, self.o.mmw_impl)
         kernel = "remove" if self.o.kernel == "expr" else self.o.kernel
-        sets, last, ways, row.pruned_mmw = kernels.expand(front[0], front[1], graph.table(), k, clique, kernel, bound, self.o.batch_rows, self.o.dedup != "none")
+        sets, last, ways, row.pruned_mmw = kernels.expand(front[0], front[1], graph.table(), k, clique, kernel, bound, self.o.batch_rows)
         row.feasible = int(ways.sum())
         if self.o.dedup == "none":
             row.kept = sets.shape[1]
@@ -191,7 +194,7 @@ class Walk:
                     continue
                 here = table if tier == "literal" else held.value if tier == "broadcast" else np.frombuffer(batch.column("adj")[0].as_py(), U64).reshape(len(names), -1)
                 sets = np.stack([np.asarray(batch.column(s)).astype(np.int64).view(U64) for s in names])
-                out, last, ways, pruned = kernels.expand(sets, np.asarray(batch.column("last")).astype(np.int32), here, k, clique, options.kernel, bound, options.batch_rows, options.combine)
+                out, last, ways, pruned = kernels.expand(sets, np.asarray(batch.column("last")).astype(np.int32), here, k, clique, options.kernel, bound, options.batch_rows)
                 if options.combine:
                     out, last, ways = kernels.fold(out, last, ways)
                 yield pa.RecordBatch.from_arrays([*(pa.array(out[w].view(np.int64)) for w in range(len(names))), pa.array(last), pa.array(ways)], [*names, "last", "ways"])

@@ -46,8 +46,8 @@ class Options:
     capacity: int | None = None
     kernel: str = "remove"
     adjacency: str = "literal"
-    local_limit: int = 60_000
-    batch_rows: int = 2048
+    local_limit: int = 500_000
+    batch_rows: int = 8192
     partitions: int | None = None
 
     def json(self) -> str:

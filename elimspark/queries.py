@@ -112,7 +112,7 @@ _width("tw_embed24", "embed_knn24", 2, 3, explored=True)
 _width("tw_letter", "letter_en60", 7, 8)
 NONE = EXACT.but(clique="none", k0=1)
 _width("tw_embed16_noclique", "embed_knn16", 1, 2, NONE, True, "none")
-_width("tw_embed16_noearlystop", "embed_knn16", 1, 2, EXACT.but(early_stop=False, k0=1), True, "triangle", False)
+_width("tw_embed16_noearlystop", "embed_knn16", 2, 2, EXACT.but(early_stop=False), True, "triangle", False)
 _width("tw_embed16_augmented", "embed_knn16", 2, 2, EXACT.but(augment=True), True)
 _width("tw_embed16_augmented_clique", "embed_knn16", 1, 2, EXACT.but(augment=True, clique_on="augmented"))
 _width("tw_embed16_bloom", "embed_knn16", 1, 2, EXACT.but(dedup="bloom"))
