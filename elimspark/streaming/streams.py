@@ -51,9 +51,18 @@ def sessions(events: DataFrame, gap: str = "30 minutes", late: str = "10 minutes
     return events.withWatermark("ts", late).groupBy("user_id", F.session_window("ts", gap).alias("s")).agg(F.count("*").alias("events"), F.collect_set("event_type").alias("kinds"))
 
 
-def distinct_edges(pairs: DataFrame, late: str = "10 minutes") -> DataFrame:
-    """Each pair once as long as the watermark remembers it."""
-    return pairs.withWatermark("start", late).dropDuplicatesWithinWatermark(["a", "b"])
+def distinct_edges(events: DataFrame, late: str = "10 minutes") -> DataFrame:
+    """(minute, a, b): users with an event in the same minute, each pair once per minute.
+
+    Repeats go before the join, by user and minute, so the join's state holds one row each.
+    """
+
+    def once(user: str) -> DataFrame:
+        seen = events.select(F.col("user_id").alias(user), F.date_trunc("minute", "ts").alias(f"m{user}"), F.col("ts").alias(f"t{user}"))
+        return seen.withWatermark(f"t{user}", late).dropDuplicatesWithinWatermark([user, f"m{user}"])
+
+    near = F.expr("ma = mb and a < b and tb >= ta - interval 60 seconds and tb <= ta + interval 60 seconds")
+    return once("a").join(once("b"), near).select(F.col("ma").alias("minute"), "a", "b")
 
 
 def _step_widths(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
