@@ -25,11 +25,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 VOCABULARY = os.environ.get("ELIMSPARK_TOKENIZERS", "/opt/tokenizers") + "/piece_bpe_32k.model"
-TRAIN_DOCS, ROUNDS, SMOOTH = 150, 4, 1e-9
+TRAIN_DOCS, ROUNDS, SMOOTH, MOST_CHOSEN = 150, 4, 1e-9, 200_000
 MARK = "▁"
 #: Longer words are scored in parts of this many signs: no piece is longer than MAX_PIECE.
 MAX_PIECE = 12
@@ -183,12 +183,13 @@ def words_of(text: str) -> list[str]:
 
 def fit(documents: DataFrame, path: str = VOCABULARY, limit: int = TRAIN_DOCS) -> Model:
     """Model from at most ``limit`` labelled documents per language, those with the least scrambled doc_id."""
-    from pyspark.sql import Window
-
-    known = documents.select("doc_id", "lang").where("doc_id is not null and lang is not null and lang <> ''").distinct()
+    known = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("lang").cast("string").alias("lang")).where("doc_id is not null and lang is not null and lang <> ''").distinct()
     order = Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id")
-    chosen = known.withColumn("n", F.row_number().over(order)).where(F.col("n") <= limit).select("doc_id", "lang")
-    rows = documents.select("doc_id", "lang", "text").where("text is not null").join(chosen, ["doc_id", "lang"], "left_semi").select("lang", "text").toLocalIterator()
+    chosen = known.withColumn("n", F.row_number().over(order)).where(F.col("n") <= limit).select("doc_id", "lang").collect()
+    few = documents.sparkSession.createDataFrame([tuple(r) for r in chosen], "doc_id long, lang string")
+    # At most `limit` rows per language; beyond MOST_CHOSEN of them (very many languages) the join is left to shuffle.
+    few = F.broadcast(few) if len(chosen) <= MOST_CHOSEN else few
+    rows = documents.select("doc_id", "lang", "text").where("text is not null").join(few, ["doc_id", "lang"], "left_semi").select("lang", "text").toLocalIterator()
     counts: dict[str, Counter] = {}
     for row in rows:
         counts.setdefault(row.lang, Counter()).update(words_of(row.text))
