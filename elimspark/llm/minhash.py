@@ -19,7 +19,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import ALNUM, U64, Scratch, Words, mix64, ngram_hashes, text_arrays
@@ -165,10 +165,10 @@ def keep_one(documents: DataFrame, groups: DataFrame) -> DataFrame:
     """
     dropped = groups.where("doc_id <> group_id").select("doc_id")
     left = documents.join(dropped, "doc_id", "left_anti")
-    from pyspark.sql import Window
-
     repeated = documents.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").select("doc_id")
+    if not repeated.limit(1).count():
+        return left.select(*documents.columns)
     once = left.join(repeated, "doc_id", "left_anti")
-    rank = F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64("text"), *[c for c in ("text",)]))
-    more = left.join(repeated, "doc_id", "left_semi").withColumn("_rank", rank).where("_rank = 1").drop("_rank")
+    rank = F.row_number().over(Window.partitionBy("doc_id").orderBy(F.xxhash64("text"), "text"))
+    more = left.join(repeated, "doc_id", "left_semi").withColumn("__rank", rank).where("__rank = 1").drop("__rank")
     return once.unionByName(more).select(*documents.columns)
