@@ -62,8 +62,9 @@ def one_process(spark: SparkSession, folder: str) -> Iterator[Row]:
 
 
 def capacity(spark: SparkSession, folder: str) -> Iterator[Row]:
-    for g in (table_graphs(spark, folder)[4], named.torus(5, 5)):
-        for cap in (1_000, 10_000, 100_000):
+    wide, bipartite = api.graph_of(b.coactive(spark, folder, 256)[0]), api.graph_of(b.partsupp(spark, folder, 24, 24)[0])
+    for g, caps in ((table_graphs(spark, folder)[4], (1_000, 10_000, 100_000)), (named.torus(5, 5), (1_000, 10_000, 100_000)), (bipartite, (1_000, 10_000)), (wide, (300, 1_000))):
+        for cap in caps:
             run = Walk(g, Options(capacity=cap), spark).width()
             yield row_of(run, capacity=cap, candidate_k=run.candidate_k, overflow_k=run.overflow_k)
 

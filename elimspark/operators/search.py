@@ -266,7 +266,7 @@ class Walk:
             run.width, run.seconds = (0 if g.n else -1), time.time() - began
             return run
         k = max(0, run.clique - 1) if self.o.k0 == "clique" else int(self.o.k0)
-        run.lower_bound = k if self.o.k0 == "clique" else 0
+        run.lower_bound = max(0, run.clique - 1)
         try:
             while True:
                 if self.o.k_max is not None and k > self.o.k_max:
