@@ -38,7 +38,17 @@ def per_graph(edges: DataFrame, function: Callable[[Graph], Iterable[tuple]], sc
         out = [(graph.name, *r) for r in function(graph)]
         return pd.DataFrame(out, columns=["graph_id", *names])
 
-    return edges.select("graph_id", "u", "v").groupBy("graph_id").applyInPandas(run, f"graph_id string, {schema}")
+    return spread(edges.select("graph_id", "u", "v"), "graph_id").groupBy("graph_id").applyInPandas(run, f"graph_id string, {schema}")
+
+
+def spread(frame: DataFrame, *keys: str) -> DataFrame:
+    """Partitioned by keys for costly work on few bytes, which adaptive coalescing would put into one task.
+
+    The grouping that follows uses this exchange, so it is not one more.
+    """
+    spark = frame.sparkSession
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+    return frame.repartition(parts, *keys)
 
 
 def batch_widths(edges: DataFrame, options: Options | None = None, preprocess: bool = True) -> DataFrame:
@@ -123,7 +133,7 @@ def disjoint_paths(edges: DataFrame) -> DataFrame:
     """(graph_id, u, v, n_paths) of all pairs that aren't adjacent; work is shared by (graph, u)."""
     ends = edges.groupBy("graph_id").agg(F.max("v").alias("top"))
     blocks = ends.select("graph_id", F.explode(F.sequence(F.lit(0), F.col("top"))).alias("block"))
-    spread = edges.join(blocks, "graph_id")
+    shared = edges.join(blocks, "graph_id")
 
     def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
         graph = Graph.of(int(rows["v"].max()) + 1, zip(rows["u"].tolist(), rows["v"].tolist()), str(key[0]))
@@ -131,7 +141,7 @@ def disjoint_paths(edges: DataFrame) -> DataFrame:
         out = [(graph.name, u, v, reduce.disjoint_paths(graph, u, v)) for v in range(u + 1, graph.n) if not graph.masks[u] >> v & 1]
         return pd.DataFrame(out, columns=["graph_id", "u", "v", "n_paths"])
 
-    return spread.groupBy("graph_id", "block").applyInPandas(run, "graph_id string, u int, v int, n_paths int")
+    return spread(shared, "graph_id", "block").groupBy("graph_id", "block").applyInPandas(run, "graph_id string, u int, v int, n_paths int")
 
 
 def forced_edges(edges: DataFrame, paths: DataFrame, k: int) -> DataFrame:
