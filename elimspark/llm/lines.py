@@ -131,10 +131,14 @@ def line_array(text: Column) -> Column:
     return F.split(F.coalesce(text.cast("string"), F.lit("")), "\n")
 
 
+def bare_line(line: Column) -> Column:
+    """A line without white space (ASCII) at its ends."""
+    return F.btrim(line, F.lit(" \t\n\x0b\f\r"))
+
+
 def line_hashes(lines: Column) -> Column:
     """Hash of each line without its outer white space, 0 for a blank line."""
-    bare = F.transform(lines, lambda x: F.regexp_replace(x, r"^\s+|\s+$", ""))
-    return F.transform(bare, lambda x: F.when(x == "", F.lit(0).cast("long")).otherwise(F.xxhash64(x)))
+    return F.transform(F.transform(lines, bare_line), lambda x: F.when(x == "", F.lit(0).cast("long")).otherwise(F.xxhash64(x)))
 
 
 def build_shards(hashes: DataFrame, shards: int) -> DataFrame:
@@ -213,7 +217,7 @@ def _keep(marked: DataFrame, common: Column) -> DataFrame:
     lines = line_array(F.col("text"))
     pairs = F.arrays_zip(lines.alias("line"), common.alias("common"))
     kept = F.transform(F.filter(pairs, lambda p: ~p["common"]), lambda p: p["line"])
-    filled = F.size(F.filter(lines, lambda x: F.regexp_replace(x, r"^\s+|\s+$", "") != "")).cast("long")
+    filled = F.size(F.filter(lines, lambda x: bare_line(x) != "")).cast("long")
     dropped = F.size(F.filter(common, lambda c: c)).cast("long")
     text = F.when(F.col("text").isNull(), F.lit(None)).otherwise(F.array_join(kept, "\n"))
     return marked.select("doc_id", text.alias("kept_text"), filled.alias("lines"), dropped.alias("dropped"))
