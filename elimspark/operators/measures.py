@@ -124,6 +124,32 @@ def lockstep_steps(lanes: list[list[list[int]]], x: int, y: int) -> int:
     return steps
 
 
+def degree_machine(graph: Graph, sets: list[int], x: int, y: int, width: int = 32) -> tuple[list[list[int]], list[int]]:
+    """(degrees of the vertices outside each set, steps of each group of lanes) under an (x, y) loop."""
+    made = [traces(graph, s) for s in sets]
+    steps = [lockstep_steps([t[0] for t in made[a : a + width]], x, y) for a in range(0, len(made), width)]
+    return [t[1] for t in made], steps
+
+
+def divergence(graph: Graph, sets: list[int], width: int = 32) -> dict[str, int]:
+    """Lockstep cost of the plain loops by source: steps that lanes need, waits for longer neighbour lists, waits for longer searches."""
+    useful = lists = searches = 0
+    for a in range(0, len(sets), width):
+        lanes = [traces(graph, s)[0] for s in sets[a : a + width]]
+        useful += sum(sum(reads) + len(reads) for lane in lanes for reads in lane)
+        for at in range(max(map(len, lanes), default=0)):
+            here = [lane[at] if at < len(lane) else [] for lane in lanes]
+            longest = max(map(len, here))
+            for turn in range(longest):
+                most = max(reads[turn] if turn < len(reads) else 0 for reads in here)
+                for reads in here:
+                    if turn < len(reads):
+                        lists += most - reads[turn]
+                    else:
+                        searches += most + 1
+    return {"useful": useful, "waits_for_lists": lists, "waits_for_searches": searches}
+
+
 def lockstep_cost(graph: Graph, sets: list[int], settings: dict[str, tuple[int, int]], width: int = 32) -> dict[str, int]:
     """Summed group steps of all states for several loop shapes."""
     lanes = [traces(graph, s)[0] for s in sets]

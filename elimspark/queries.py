@@ -121,6 +121,7 @@ _width("tw_embed16_mmw_implicit", "embed_knn16", 1, 2, EXACT.but(mmw="min", mmw_
 _width("tw_embed16_greedy_clique", "embed_knn16", 1, 2, EXACT.but(clique="greedy", k0=1))
 _width("tw_embed16_kernel_expr", "embed_knn16", 2, 2, EXACT.but(kernel="expr", local_limit=0), True)
 _width("tw_embed16_kernel_remove", "embed_knn16", 2, 2, EXACT.but(kernel="remove"), True)
+_width("tw_embed16_kernel_elim", "embed_knn16", 2, 2, EXACT.but(kernel="remove", local_limit=0), True)
 _width("tw_embed16_kernel_search", "embed_knn16", 2, 2, EXACT.but(kernel="search"), True)
 _width("tw_embed24_kernel_parts", "embed_knn24", 2, 3, EXACT.but(kernel="parts"), True)
 _width("tw_embed16_spread", "embed_knn16", 2, 2, EXACT.but(local_limit=0), True)
@@ -378,6 +379,16 @@ def lockstep_query(sp, d):
     return sp.createDataFrame([(k, v) for k, v in measures.lockstep_cost(g, sets, measures.SHAPES).items()], "shape string, steps long")
 
 
+@register("divergence_letter")
+def divergence_query(sp, d):
+    """Where lockstep groups wait."""
+    g = graph_of(sp, d, "letter_en60")
+    keep: dict = {}
+    s.Walk(g, EXACT).decide(8, keep)
+    sets = [sum(1 << v for v in x) for x in s.states(keep[4])]
+    return sp.createDataFrame(list(measures.divergence(g, sets).items()), "part string, steps long")
+
+
 @register("bloom_audit_embed24")
 def audit_query(sp, d):
     """Loss of the filter on one level, by bits per item."""

@@ -194,3 +194,19 @@ def rel_top(sp, d):
 @register("rel_approx_distinct")
 def rel_approx(sp, d):
     return load(sp, d, "lineitem", "l_returnflag", "l_orderkey").groupBy("l_returnflag").agg(F.approx_count_distinct("l_orderkey", 0.02).alias("orders"))
+
+
+@register("rel_join_hints", "SELECT n_name, CAST(count(*) AS BIGINT) AS suppliers FROM supplier JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE r_name <> 'ASIA' GROUP BY n_name")
+def rel_join_hints(sp, d):
+    """The fixed-size tables are broadcast, the growing side is told to sort-merge otherwise."""
+    supplier = load(sp, d, "supplier", "s_nationkey").hint("merge")
+    nations = load(sp, d, "nation", "n_nationkey", "n_name", "n_regionkey")
+    region = load(sp, d, "region", "r_regionkey", "r_name").where("r_name <> 'ASIA'")
+    return supplier.join(nations, F.col("s_nationkey") == F.col("n_nationkey")).join(F.broadcast(region), F.col("n_regionkey") == F.col("r_regionkey")).groupBy("n_name").agg(F.count("*").alias("suppliers"))
+
+
+@register("rel_self_theta", "SELECT x.o_custkey AS k, CAST(count(*) AS BIGINT) AS pairs FROM orders x JOIN orders y ON x.o_custkey = y.o_custkey AND x.o_orderdate < y.o_orderdate AND x.o_totalprice > y.o_totalprice GROUP BY x.o_custkey")
+def rel_self_theta(sp, d):
+    orders = load(sp, d, "orders", "o_custkey", "o_orderdate", "o_totalprice")
+    later = orders.select("o_custkey", F.col("o_orderdate").alias("d2"), F.col("o_totalprice").alias("p2"))
+    return orders.join(later, "o_custkey").where("o_orderdate < d2 and o_totalprice > p2").groupBy(F.col("o_custkey").alias("k")).agg(F.count("*").alias("pairs"))

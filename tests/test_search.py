@@ -174,6 +174,10 @@ def test_lockstep_shapes():
     single = measures.lockstep_cost(g, sets, measures.SHAPES, width=1)
     assert set(cost) == set(measures.SHAPES) and all(single[k] >= cost[k] / 32 for k in cost)
     assert cost["1,1"] >= cost["inf,inf"]
+    for x, y in measures.SHAPES.values():
+        degrees, _ = measures.degree_machine(g, sets, x, y)
+        assert degrees == [[orders.reached(g, m, v).bit_count() for v in range(g.n) if not m >> v & 1] for m in sets]
+    assert measures.divergence(g, sets, 1)["waits_for_lists"] == measures.divergence(g, sets, 1)["waits_for_searches"] == 0
 
 
 def test_distributed_levels_equal_local_ones(spark):
