@@ -144,7 +144,7 @@ class Walk:
     def _local(self, front: tuple, graph: Graph, k: int, clique: int, row: Level) -> tuple:
         bound = bounds.state_bound(k, self.o.mmw, self.o.mmw_impl)
         kernel = "remove" if self.o.kernel == "expr" else self.o.kernel
-        sets, last, ways, row.pruned_mmw = kernels.expand(front[0], front[1], graph.table(), k, clique, kernel, bound, self.o.batch_rows)
+        sets, last, ways, row.pruned_mmw = kernels.expand(front[0], front[1], graph.table(), k, clique, kernel, bound, self.o.block(graph.n))
         row.feasible = int(ways.sum())
         if self.o.dedup == "none":
             row.kept = sets.shape[1]
@@ -181,7 +181,7 @@ class Walk:
 
             return expand_frame(frame, graph, k, clique)
         table = graph.table()
-        tier = options.adjacency
+        tier, block = options.adjacency, options.block(graph.n)
         held = self.spark.sparkContext.broadcast(table) if tier == "broadcast" else None
         if tier == "join":
             row = self.spark.createDataFrame([(bytes(table.tobytes()),)], "adj binary")
@@ -194,7 +194,7 @@ class Walk:
                     continue
                 here = table if tier == "literal" else held.value if tier == "broadcast" else np.frombuffer(batch.column("adj")[0].as_py(), U64).reshape(len(names), -1)
                 sets = np.stack([np.asarray(batch.column(s)).astype(np.int64).view(U64) for s in names])
-                out, last, ways, pruned = kernels.expand(sets, np.asarray(batch.column("last")).astype(np.int32), here, k, clique, options.kernel, bound, options.batch_rows)
+                out, last, ways, pruned = kernels.expand(sets, np.asarray(batch.column("last")).astype(np.int32), here, k, clique, options.kernel, bound, block)
                 if options.combine:
                     out, last, ways = kernels.fold(out, last, ways)
                 yield pa.RecordBatch.from_arrays([*(pa.array(out[w].view(np.int64)) for w in range(len(names))), pa.array(last), pa.array(ways)], [*names, "last", "ways"])

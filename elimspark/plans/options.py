@@ -27,7 +27,7 @@ class Options:
     kernel      'remove', 'parts', 'search' or 'expr'
     adjacency   'literal' (in the task's code), 'broadcast' or 'join' (as a column)
     local_limit states up to which a level runs on the driver
-    batch_rows  states per kernel block
+    batch_rows  states per kernel block, None: by the number of vertices
     partitions  shuffle partitions of a level, None: the session's
     """
 
@@ -47,9 +47,13 @@ class Options:
     kernel: str = "remove"
     adjacency: str = "literal"
     local_limit: int = 500_000
-    batch_rows: int = 8192
+    batch_rows: int | None = None
     partitions: int | None = None
 
+    def block(self, n: int) -> int:
+        """States per kernel block: as many as keep a block's masks in a core's cache."""
+        return self.batch_rows or (8192 if n <= 32 else 2048)
+
     def json(self) -> str:
         return json.dumps(asdict(self), sort_keys=True)
 
