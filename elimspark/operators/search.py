@@ -27,6 +27,8 @@ from . import bounds, kernels, reduce
 from .dedup import BloomBits
 
 U64 = np.uint64
+#: States that one task of a distributed level expands, about; more only where the session has fewer tasks.
+TASK_STATES = 1 << 15
 
 
 @dataclass
@@ -201,18 +203,22 @@ class Walk:
 
         return frame.mapInArrow(run, self.schema())
 
+    def parts(self, count: int) -> int:
+        """Tasks of a level of ``count`` states: one per TASK_STATES, at most those of the session's shuffles or cores."""
+        most = max(int(self.spark.conf.get("spark.sql.shuffle.partitions")), 2 * self.spark.sparkContext.defaultParallelism)
+        return self.o.partitions or max(1, min(most, -(-count // TASK_STATES)))
+
     def deduplicated(self, candidates: DataFrame, expected: int) -> DataFrame:
         """One row per set: the one shuffle of a level."""
         if self.o.dedup == "none":
             return candidates
-        parts = self.o.partitions
+        parts = self.parts(expected)
         if self.o.dedup == "exact":
-            if parts:
-                candidates = candidates.repartition(parts, *self.names)
-            return candidates.groupBy(*self.names).agg(F.min("last").alias("last"), F.sum("ways").alias("ways"))
+            # Tasks have folded their candidates already; a count of our own keeps a level's tasks
+            # as many as its states need, where adaptive coalescing goes by bytes.
+            return candidates.repartition(parts, *self.names).groupBy(*self.names).agg(F.min("last").alias("last"), F.sum("ways").alias("ways"))
         names, options = self.names, self.o
-        parts = parts or int(self.spark.conf.get("spark.sql.shuffle.partitions"))
-        items = max(1, -(-expected // parts))
+        items = max(1024, -(-4 * expected // parts))
 
         def run(batches):
             filters: list[BloomBits] = []
@@ -240,9 +246,8 @@ class Walk:
         if self.store is None:
             self.store = LevelStore(self.spark)
         if isinstance(front, tuple):
-            parts = self.o.partitions or int(self.spark.conf.get("spark.sql.shuffle.partitions"))
-            front = self.frame(front).repartition(parts)
-        new = self.deduplicated(self.expanded(front, graph, k, clique), row.generated)
+            front = self.frame(front).repartition(self.parts(row.expanded))
+        new = self.deduplicated(self.expanded(front, graph, k, clique), row.expanded)
         kept = self.store.write(new, k, row.level)
         counts = kept.agg(F.count("*").alias("n"), F.coalesce(F.sum("ways"), F.lit(0)).alias("w")).first()
         row.kept, row.feasible = counts.n, counts.w
