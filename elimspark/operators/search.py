@@ -27,8 +27,8 @@ from . import bounds, kernels, reduce
 from .dedup import BloomBits
 
 U64 = np.uint64
-#: States that one task of a distributed level expands, about; more only where the session has fewer tasks.
-TASK_STATES = 1 << 15
+#: States of one task, about, when a level moves from the driver to the cluster; later levels follow their partitions.
+TASK_STATES = 1 << 14
 
 
 @dataclass
@@ -204,7 +204,7 @@ class Walk:
         return frame.mapInArrow(run, self.schema())
 
     def parts(self, count: int) -> int:
-        """Tasks of a level of ``count`` states: one per TASK_STATES, at most those of the session's shuffles or cores."""
+        """Tasks for ``count`` states: one per TASK_STATES, at most those of the session's shuffles or cores."""
         most = max(int(self.spark.conf.get("spark.sql.shuffle.partitions")), 2 * self.spark.sparkContext.defaultParallelism)
         return self.o.partitions or max(1, min(most, -(-count // TASK_STATES)))
 
@@ -214,9 +214,9 @@ class Walk:
             return candidates
         parts = self.parts(expected)
         if self.o.dedup == "exact":
-            # Tasks have folded their candidates already; a count of our own keeps a level's tasks
-            # as many as its states need, where adaptive coalescing goes by bytes.
-            return candidates.repartition(parts, *self.names).groupBy(*self.names).agg(F.min("last").alias("last"), F.sum("ways").alias("ways"))
+            if self.o.partitions:
+                candidates = candidates.repartition(parts, *self.names)
+            return candidates.groupBy(*self.names).agg(F.min("last").alias("last"), F.sum("ways").alias("ways"))
         names, options = self.names, self.o
         items = max(1024, -(-4 * expected // parts))
 
