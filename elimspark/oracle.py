@@ -61,6 +61,10 @@ def letter(lang: str, count: int) -> str:
       WHERE x <> y GROUP BY 1, 2 ORDER BY w DESC, a, b LIMIT {count})"""
 
 
+LETTERS = """SELECT DISTINCT g, run[i] AS a, run[i + 1] AS b FROM (
+  SELECT g, run, unnest(range(1, length(run))) AS i FROM (SELECT coalesce(lang, 'null') AS g, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS run FROM documents))"""
+
+
 def docline(length: int, good: bool = False) -> str:
     keep = " WHERE doc_id IN (SELECT doc_id FROM labels WHERE quality = 1)" if good else ""
     held = f"(SELECT DISTINCT doc_id, line FROM (SELECT doc_id, unnest(string_split(text, chr(10))) AS line FROM documents{keep}) WHERE length(line) > {length})"

@@ -39,6 +39,9 @@ def longs(frame: DataFrame) -> DataFrame:
 
 # Builders
 
+#: A limit above all keys, for SQL that takes one.
+ALL_IDS = 1 << 62
+
 BUILDERS: dict[str, tuple[Callable[[SparkSession, str], tuple[DataFrame, DataFrame]], str]] = {
     "nation_top1": (lambda sp, d: b.nation(sp, d, 1), o.nation(1)),
     "nation_top2": (lambda sp, d: b.nation(sp, d, 2), o.nation(2)),
@@ -58,6 +61,11 @@ BUILDERS: dict[str, tuple[Callable[[SparkSession, str], tuple[DataFrame, DataFra
     "geo": (b.geo, o.GEO),
     "turn": (b.turn, o.TURN),
     "benchword": (b.benchword, o.BENCHWORD),
+    # Whole tables; the ones above with a size in their definition are fixed small graphs for tests.
+    "embed_knn": (lambda sp, d: b.embedding_all(sp, d, 2), o.embedding(ALL_IDS, 2)),
+    "letter": (b.letter_all, o.LETTERS),
+    "coactive_all": (b.coactive, o.coactive(ALL_IDS)),
+    "partsupp": (b.partsupp, o.partsupp(ALL_IDS, ALL_IDS)),
 }
 for _name, (_make, _pairs) in BUILDERS.items():
     register(f"edges_{_name}", o.edges(_pairs))(lambda sp, d, f=_make: longs(f(sp, d)[0]))

@@ -5,6 +5,8 @@ Every builder reads only the columns it needs; nothing is collected.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -21,8 +23,13 @@ def load(spark: SparkSession, folder: str, name: str, *columns: str) -> DataFram
 def strongest(pairs: DataFrame, top: int) -> DataFrame:
     """Pairs (a, b, w) that one of the ends ranks among its ``top`` partners: weight first, then the partner."""
     both = pairs.select("a", "b", "w").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"), "w"))
+    return best(both, top).select("a", "b")
+
+
+def best(both: DataFrame, top: int) -> DataFrame:
+    """Rows (a, b, w) that rank among the ``top`` of their a."""
     rank = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("w"), "b"))
-    return both.withColumn("rank", rank).where(F.col("rank") <= top).select("a", "b")
+    return both.withColumn("rank", rank).where(F.col("rank") <= top).drop("rank")
 
 
 def nation(spark: SparkSession, folder: str, top: int) -> Tables:
@@ -55,6 +62,52 @@ def embedding(spark: SparkSession, folder: str, size: int, top: int) -> Tables:
     return normalize_edges(strongest(pairs, top))
 
 
+#: Vectors of a block; a task holds two blocks, and cosines of SLICE rows at a time.
+BLOCK, SLICE = 4096, 256
+
+
+def nearest_in_block(ids: np.ndarray, unit: np.ndarray, other_ids: np.ndarray, other: np.ndarray, top: int) -> pd.DataFrame:
+    """(a, b, w): for each of ``ids`` its ``top`` best in another block, least id first among equals."""
+    order = np.argsort(other_ids, kind="stable")
+    other_ids, other = other_ids[order], other[order]
+    out = []
+    for at in range(0, len(ids), SLICE):
+        w = np.round(unit[at : at + SLICE] @ other.T, 6)
+        w[(ids[at : at + SLICE, None] == other_ids[None, :]) | np.isnan(w)] = -np.inf
+        least = np.partition(w, -min(top, w.shape[1]), axis=1)[:, -min(top, w.shape[1])]
+        row, col = np.nonzero((w >= least[:, None]) & (w > -np.inf))
+        found = pd.DataFrame({"a": ids[at + row], "b": other_ids[col], "w": w[row, col]}).sort_values(["a", "w", "b"], ascending=[True, False, True])
+        out.append(found[found.groupby("a").cumcount() < top])
+    return pd.concat(out)
+
+
+def embedding_all(spark: SparkSession, folder: str, top: int, block: int = BLOCK) -> Tables:
+    """As embedding, over all vectors: each pair of blocks is one task's work and leaves ``top`` rows a vector.
+
+    Vectors of length zero have no cosine and no nearest ones.
+    """
+    some = load(spark, folder, "embeddings", "vec_id", "embedding").where("vec_id is not null and embedding is not null")
+    blocks = max(1, -(-some.count() // block))
+    mine = F.pmod(F.xxhash64("vec_id"), F.lit(blocks)).cast("int")
+    others = F.sequence(F.lit(0), F.lit(blocks - 1))
+    # Each unordered pair of blocks (i <= j) gets the rows of both.
+    spread = some.select(mine.alias("block"), "vec_id", F.col("embedding").cast("array<float>").alias("embedding"), F.explode(others).alias("with"))
+    spread = spread.select(F.least("block", "with").alias("i"), F.greatest("block", "with").alias("j"), "block", "vec_id", "embedding")
+
+    def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
+        wide = np.stack(rows["embedding"].to_numpy()).astype(np.float64)
+        with np.errstate(invalid="ignore", divide="ignore"):
+            wide /= np.sqrt((wide * wide).sum(axis=1, keepdims=True))
+        ids, own = rows["vec_id"].to_numpy(np.int64), rows["block"].to_numpy()
+        sides = [(ids[own == x], wide[own == x]) for x in key]
+        turns = [(0, 1), (1, 0)] if key[0] != key[1] else [(0, 0)]
+        found = [nearest_in_block(*sides[x], *sides[y], top) for x, y in turns if len(sides[x][0]) and len(sides[y][0])]
+        return pd.concat(found) if found else pd.DataFrame({"a": [], "b": [], "w": []})
+
+    near = spread.groupBy("i", "j").applyInPandas(run, "a long, b long, w double")
+    return normalize_edges(best(near, top).select("a", "b"))
+
+
 def letter(spark: SparkSession, folder: str, lang: str, count: int) -> Tables:
     """The most frequent pairs of adjacent different letters in one language's texts."""
     text = load(spark, folder, "documents", "text", "lang").where(F.col("lang") == lang)
@@ -66,6 +119,14 @@ def letter(spark: SparkSession, folder: str, lang: str, count: int) -> Tables:
     return normalize_edges(pairs.orderBy(F.desc("w"), "a", "b").limit(count))
 
 
+def letter_all(spark: SparkSession, folder: str) -> Tables:
+    """Per language, all pairs of adjacent different letters; a null language is a graph named null."""
+    text = load(spark, folder, "documents", "text", "lang")
+    runs = text.select(F.coalesce("lang", F.lit("null")).alias("g"), F.explode(F.regexp_extract_all(F.lower("text"), F.lit("([a-z]{2,})"), F.lit(1))).alias("run")).distinct()
+    spots = runs.select("g", "run", F.explode(F.sequence(F.lit(1), F.length("run") - 1)).alias("i"))
+    return normalize_edges(spots.select("g", F.expr("substring(run, i, 1)").alias("a"), F.expr("substring(run, i + 1, 1)").alias("b")), graph=F.col("g"))
+
+
 def shared_lines(documents: DataFrame, length: int) -> DataFrame:
     """Pairs (a, b) of documents that hold the same line of more than ``length`` signs."""
     held = documents.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") > length).select("doc_id", F.xxhash64("line").alias("h"), "line").distinct()
@@ -82,9 +143,10 @@ def doclabel(spark: SparkSession, folder: str, length: int) -> Tables:
     return normalize_edges(shared_lines(load(spark, folder, "documents", "doc_id", "text").join(good, "doc_id", "left_semi"), length))
 
 
-def coactive(spark: SparkSession, folder: str, users: int) -> Tables:
-    """Users with an event in the same minute."""
-    seen = load(spark, folder, "events", "user_id", F.date_trunc("minute", "ts").alias("minute")).where(F.col("user_id") < users).distinct()
+def coactive(spark: SparkSession, folder: str, users: int | None = None) -> Tables:
+    """Users (those below a limit, if one is given) with an event in the same minute."""
+    seen = load(spark, folder, "events", "user_id", F.date_trunc("minute", "ts").alias("minute"))
+    seen = (seen if users is None else seen.where(F.col("user_id") < users)).distinct()
     return normalize_edges(seen.withColumnRenamed("user_id", "a").join(seen.withColumnRenamed("user_id", "b"), "minute").where("a < b"))
 
 
@@ -95,9 +157,11 @@ def userstep(spark: SparkSession, folder: str) -> Tables:
     return normalize_edges(events.select("user_id", F.col("event_type").alias("a"), after.alias("b")), graph=F.col("user_id"))
 
 
-def partsupp(spark: SparkSession, folder: str, parts: int, suppliers: int) -> Tables:
-    """Parts and their suppliers, keys below the limits: a bipartite graph."""
-    rows = load(spark, folder, "lineitem", "l_partkey", "l_suppkey").where((F.col("l_partkey") < parts) & (F.col("l_suppkey") < suppliers))
+def partsupp(spark: SparkSession, folder: str, parts: int | None = None, suppliers: int | None = None) -> Tables:
+    """Parts and their suppliers (keys below the limits, if any are given): a bipartite graph."""
+    rows = load(spark, folder, "lineitem", "l_partkey", "l_suppkey")
+    for column, limit in (("l_partkey", parts), ("l_suppkey", suppliers)):
+        rows = rows if limit is None else rows.where(F.col(column) < limit)
     return normalize_edges(rows.select(F.concat(F.lit("p"), "l_partkey").alias("a"), F.concat(F.lit("s"), "l_suppkey").alias("b")))
 
 
