@@ -1,7 +1,14 @@
 """Line deduplication by a sharded minimal perfect hash over distinct line hashes.
 
-A line (trimmed, not empty) that stands in more than ``MAX_DOCS`` documents is boilerplate
-and leaves all of them. The number of documents per line is found by one aggregation over
+keep_first(), which the query uses: of each line (trimmed, not empty) the first occurrence
+stays, by least doc_id (null before all), then position; every other one goes, also inside
+one document. One aggregation over 64-bit line hashes finds the lines that occur more than
+once and the document of the first occurrence; the perfect hash of a shard holds the hash
+and that document at its indexes, and only lines that occur once are not in it. Rows that
+share a doc_id are ordered by a hash of their text; of equal rows one is the first.
+
+deduplicate(), a rule with a bound, which empties documents of boilerplate only: a line
+that stands in more than ``max_docs`` documents leaves all of them. The number of documents per line is found by one aggregation over
 64-bit line hashes; the hashes are spread over shards, and each shard gets a minimal
 perfect hash (levels of bit arrays: a key settles on the first level where it has a place
 to itself, its index is the rank of that bit), with a compact array of 32-bit
@@ -22,7 +29,7 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import U64, Scratch, mix64
@@ -127,6 +134,44 @@ class Shard:
         return cls(PerfectHash.of_blob(bytes(blob[8 + 8 * n :])), prints, counts)
 
 
+class Firsts:
+    """Perfect hash of the repeated lines of one shard, their hashes and owners (the row that keeps its first one)."""
+
+    def __init__(self, function: PerfectHash, keys: np.ndarray, owners: np.ndarray):
+        self.function, self.keys, self.owners = function, keys, owners
+
+    @classmethod
+    def build(cls, keys: np.ndarray, owners: np.ndarray) -> Firsts:
+        function = PerfectHash.build(keys)
+        at = function.index(keys)
+        held, owner = np.empty(len(keys), U64), np.empty(len(keys), np.int64)
+        held[at], owner[at] = keys, owners
+        return cls(function, held, owner)
+
+    def probe(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(is the line repeated, its owner)."""
+        if not len(self.keys):
+            return np.zeros(len(keys), bool), np.zeros(len(keys), np.int64)
+        at = self.function.index(keys)
+        return (at >= 0) & (self.keys[at] == keys), self.owners[at]
+
+    def blob(self) -> bytes:
+        return np.int64(len(self.keys)).tobytes() + self.keys.tobytes() + self.owners.tobytes() + self.function.blob()
+
+    @classmethod
+    def of_blob(cls, blob: bytes) -> Firsts:
+        n = int(np.frombuffer(blob, np.int64, 1)[0])
+        return cls(PerfectHash.of_blob(bytes(blob[8 + 16 * n :])), np.frombuffer(blob, U64, n, 8), np.frombuffer(blob, np.int64, n, 8 + 8 * n))
+
+
+def later_ones(rows: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+    """Which of the lines, in order, have stood before in the same row."""
+    order = np.lexsort((hashes, rows))
+    again = np.zeros(len(rows), bool)
+    again[order[1:]] = (rows[order[1:]] == rows[order[:-1]]) & (hashes[order[1:]] == hashes[order[:-1]])
+    return again
+
+
 def line_array(text: Column) -> Column:
     return F.split(F.coalesce(text.cast("string"), F.lit("")), "\n")
 
@@ -213,6 +258,92 @@ def deduplicate(documents: DataFrame, max_docs: int = MAX_DOCS, local_bytes: int
     return _keep(joined.select("doc_id", "text", flags.alias("common")), F.col("common"))
 
 
+def keep_first(documents: DataFrame, local_bytes: int = LOCAL_BYTES, shard_keys: int = SHARD_KEYS) -> DataFrame:
+    """(doc_id, kept_text, lines, dropped) of every row: one occurrence of each line stays; blank lines stay."""
+    spark = documents.sparkSession
+    scratch = Scratch(spark, "lines")
+    base = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    place = F.coalesce("doc_id", F.lit(-(1 << 63)).cast("long"))
+    if base.select(place.alias("place")).groupBy("place").count().where("count > 1").limit(1).count():
+        # Ids repeat: rows are told apart by their text's hash, and equal rows by a number.
+        parts = [place, F.xxhash64("text"), F.col("text")]
+        base = scratch.keep(base.withColumn("copy", F.row_number().over(Window.partitionBy(*parts).orderBy("text"))), "rows")
+        place = F.struct(place.alias("id"), F.xxhash64("text").alias("hash"), F.col("copy"))
+        stamp = lambda c: F.xxhash64(c["id"], c["hash"], c["copy"])
+    else:
+        stamp = lambda c: c
+    lines = line_hashes(line_array(F.col("text")))
+    each = base.select(place.alias("place"), F.explode(lines).alias("hash")).where("hash <> 0")
+    repeated = each.groupBy("hash").agg(F.count("*").alias("n"), F.min("place").alias("place")).where("n > 1")
+    repeated = scratch.keep(repeated.select("hash", stamp(F.col("place")).alias("owner")), "repeated")
+    shards = max(1, -(-repeated.count() // shard_keys))
+
+    def build(table: pd.DataFrame) -> pd.DataFrame:
+        shard = Firsts.build(table["hash"].to_numpy(np.int64).view(U64), table["owner"].to_numpy(np.int64))
+        return pd.DataFrame({"shard": [int(table["shard"].iloc[0])], "blob": [shard.blob()]})
+
+    owner = F.pmod(F.col("hash"), F.lit(shards)).cast("int")
+    arrays = scratch.keep(repeated.withColumn("shard", owner).groupBy("shard").applyInPandas(build, "shard int, blob binary"), "arrays")
+    size = arrays.agg(F.coalesce(F.sum(F.length("blob")), F.lit(0))).first()[0]
+    if size <= local_bytes:
+        held = spark.sparkContext.broadcast({r.shard: bytes(r.blob) for r in arrays.toLocalIterator()})
+
+        def probe(batches):
+            tables = {k: Firsts.of_blob(b) for k, b in held.value.items()}
+            for batch in batches:
+                column = batch.column("hashes")
+                flat = np.asarray(column.flatten()).astype(np.int64)
+                lengths = np.asarray(column.value_lengths()).astype(np.int64)
+                rows = np.repeat(np.arange(len(lengths)), lengths)
+                stamps = np.asarray(batch.column("stamp")).astype(np.int64)
+                gone = np.zeros(len(flat), bool)
+                shard = np.mod(flat, shards)
+                for k, table in tables.items():
+                    mine = np.flatnonzero((shard == k) & (flat != 0))
+                    hit, owners = table.probe(flat[mine].view(U64))
+                    mine, owners = mine[hit], owners[hit]
+                    gone[mine] = (owners != stamps[rows[mine]]) | later_ones(rows[mine], flat[mine])
+                ends = np.concatenate([[0], np.cumsum(lengths)]).astype(np.int32)
+                yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text"), pa.ListArray.from_arrays(pa.array(ends), pa.array(gone))], ["doc_id", "text", "common"])
+
+        source = base.select("doc_id", "text", stamp(place).alias("stamp"), lines.alias("hashes"))
+        return _keep(source.mapInArrow(probe, "doc_id long, text string, common array<boolean>"), F.col("common"))
+    numbered = scratch.keep(base.select("doc_id", "text", stamp(place).alias("stamp"), F.monotonically_increasing_id().alias("row")), "numbered")
+    asked = numbered.select("row", "stamp", F.posexplode(lines).alias("at", "hash")).where("hash <> 0")
+    probes = asked.select(owner.alias("shard"), F.pmod("row", F.lit(SALTS)).cast("int").alias("salt"), F.lit(1).alias("kind"), "row", "stamp", "at", "hash", F.lit(None).cast("binary").alias("blob"))
+    nothing = [F.lit(None).cast(t).alias(n) for n, t in (("row", "long"), ("stamp", "long"), ("at", "int"), ("hash", "long"))]
+    copies = arrays.select("shard", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])).alias("salt"), F.lit(0).alias("kind"), *nothing, "blob")
+    # The lines of a row that are equal come one after the other, first position first.
+    routed = probes.unionByName(copies).repartition("shard", "salt").sortWithinPartitions("shard", "salt", "kind", "row", "hash", "at")
+
+    def answer(batches):
+        table, place, last = None, None, None
+        for batch in batches:
+            kinds = np.asarray(batch.column("kind"))
+            cells = np.stack([np.asarray(batch.column("shard")), np.asarray(batch.column("salt"))], 1)
+            edges = sorted({0, batch.num_rows, *np.flatnonzero(np.diff(kinds) | (np.diff(cells, axis=0) != 0).any(1)) + 1})
+            for a, b in zip(edges, edges[1:]):
+                if kinds[a] == 0:
+                    table, place = Firsts.of_blob(batch.column("blob")[int(a)].as_py()), tuple(cells[a])
+                    continue
+                if place != tuple(cells[a]):  # no line of this shard repeats
+                    continue
+                part = batch.slice(a, b - a)
+                row, hashes, stamps = (np.asarray(part.column(c)).astype(np.int64) for c in ("row", "hash", "stamp"))
+                hit, owners = table.probe(hashes.view(U64))
+                again = np.zeros(len(row), bool)
+                again[1:] = (row[1:] == row[:-1]) & (hashes[1:] == hashes[:-1])
+                again[0] = last == (row[0], hashes[0])
+                last = (row[-1], hashes[-1])
+                yield part.select(["row", "at"]).filter(pa.array(hit & (again | (owners != stamps))))
+
+    dropped = routed.mapInArrow(answer, "row long, at int").groupBy("row").agg(F.collect_set("at").alias("gone"))
+    joined = numbered.join(dropped, "row", "left")
+    gone = F.coalesce(F.col("gone"), F.array().cast("array<int>"))
+    flags = F.transform(line_array(F.col("text")), lambda x, k: F.array_contains(gone, k))
+    return _keep(joined.select("doc_id", "text", flags.alias("common")), F.col("common"))
+
+
 def _keep(marked: DataFrame, common: Column) -> DataFrame:
     lines = line_array(F.col("text"))
     pairs = F.arrays_zip(lines.alias("line"), common.alias("common"))

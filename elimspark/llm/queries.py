@@ -61,7 +61,8 @@ def op4_minhash(spark: SparkSession, folder: str) -> DataFrame:
 
 
 def op5_line_dedup(spark: SparkSession, folder: str) -> DataFrame:
-    return lines.deduplicate(table(spark, folder, "documents"))
+    """One occurrence of each line stays. OP5_SQL holds the former rule (lines of more than MAX_DOCS documents go from all)."""
+    return lines.keep_first(table(spark, folder, "documents"))
 
 
 OP5_SQL = f"""
