@@ -13,7 +13,8 @@ together and the suffixes at their window starts are sorted deep-shallow: multik
 quicksort on the words to depth ``SHALLOW``, then, for the suffixes that are still equal,
 blind tries, which branch on the first differing words only and are read in order. Each
 suffix is compared with its neighbours in order: LENGTH common words mean a repeat.
-Hashes (64 bits) choose and pre-fold segments; whatever is sorted is compared by words.
+Hashes (64 bits) choose and pre-fold segments, and suffixes whose tails share a 64-bit
+stamp are taken as equal without a trie; all others that are sorted are compared by words.
 
 Edge cases: null, empty and short texts have no windows; null doc_ids give rows with a
 null doc_id, each text apart; rows that share a doc_id are documents of their own; rows
