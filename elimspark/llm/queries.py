@@ -24,22 +24,24 @@ def op1_mixing(spark: SparkSession, folder: str) -> DataFrame:
     return mixing.mix(table(spark, folder, "documents"), source_weight(), carry=False)
 
 
-OP1_SQL = """
+OP1_SQL = f"""
 WITH d AS (
   SELECT doc_id, source,
          (((coalesce(doc_id, -1) % 2147483647 + 2147483647) % 2147483647) * 1103515245 + 12345) % 2147483648 AS h
   FROM documents
 ), p AS (
-  SELECT doc_id, source, row_number() OVER (PARTITION BY source ORDER BY h, doc_id) AS place, count(*) OVER (PARTITION BY source) AS n
+  SELECT doc_id, source, row_number() OVER (PARTITION BY source ORDER BY h, doc_id) AS place
   FROM d
 ), w AS (
-  SELECT source, count(*) AS n, coalesce(TRY_CAST(nullif(regexp_extract(source, '([0-9]{1,9})$', 1), '') AS BIGINT) % 4 + 1.0, 1.0)::DOUBLE AS w
+  SELECT source, CAST(count(*) AS HUGEINT) AS n,
+         CAST(coalesce(TRY_CAST(nullif(regexp_extract(source, '([0-9]{{1,9}})$', 1), '') AS BIGINT) % 4 + 1, 1) AS HUGEINT) AS w
   FROM documents GROUP BY source
 ), g AS (
-  SELECT source, CAST(floor((SELECT sum(n) FROM w)::DOUBLE * w / (SELECT sum(w) FROM w) + 0.5) AS BIGINT) AS goal FROM w
+  SELECT source, (SELECT sum(n) FROM w)::HUGEINT * w AS times, n * (SELECT sum(w) FROM w)::HUGEINT AS parts,
+         CAST('0x' || substr(md5('{mixing.SEED}:' || coalesce('s' || source, '-')), 1, 7) AS HUGEINT) AS u FROM w
 ), c AS (
   SELECT p.doc_id, p.source,
-         (CAST(goal AS HUGEINT) * place + CAST(floor(0.5 * n) AS BIGINT)) // n - (CAST(goal AS HUGEINT) * (place - 1) + CAST(floor(0.5 * n) AS BIGINT)) // n AS copies
+         (times * place + parts * u // 268435456) // parts - (times * (place - 1) + parts * u // 268435456) // parts AS copies
   FROM p JOIN g ON p.source IS NOT DISTINCT FROM g.source
 )
 SELECT doc_id, source, CAST(unnest(range(1, CAST(copies AS BIGINT) + 1)) AS BIGINT) AS copy FROM c WHERE copies > 0
@@ -61,19 +63,17 @@ def op4_minhash(spark: SparkSession, folder: str) -> DataFrame:
 
 
 def op5_line_dedup(spark: SparkSession, folder: str) -> DataFrame:
-    """One occurrence of each line stays. OP5_SQL holds the former rule (lines of more than MAX_DOCS documents go from all)."""
+    """One occurrence of each line stays, the first one."""
     return lines.keep_first(table(spark, folder, "documents"))
 
 
-OP5_SQL = f"""
+OP5_SQL = r"""
 WITH l AS (
   SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS k FROM documents
 ), n AS (
-  SELECT doc_id, k, line, regexp_replace(line, '^\\s+|\\s+$', '', 'g') AS bare FROM l
-), c AS (
-  SELECT bare FROM n WHERE bare <> '' GROUP BY bare HAVING count(DISTINCT doc_id) > {lines.MAX_DOCS}
+  SELECT doc_id, k, line, regexp_replace(line, '^\s+|\s+$', '', 'g') AS bare FROM l
 ), m AS (
-  SELECT n.*, c.bare IS NOT NULL AS gone FROM n LEFT JOIN c ON n.bare = c.bare
+  SELECT *, bare <> '' AND row_number() OVER (PARTITION BY bare ORDER BY doc_id NULLS FIRST, k) > 1 AS gone FROM n
 )
 SELECT doc_id, coalesce(string_agg(line, chr(10) ORDER BY k) FILTER (NOT gone), '') AS kept_text,
        CAST(count(*) FILTER (bare <> '') AS BIGINT) AS lines, CAST(count(*) FILTER (gone) AS BIGINT) AS dropped

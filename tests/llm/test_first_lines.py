@@ -8,18 +8,6 @@ import pytest
 from elimspark.llm import lines, queries
 
 FOLDER = "/root/testdata/sf0.01"
-FIRST_SQL = """
-WITH n AS (
-  SELECT doc_id, unnest(string_split(text, chr(10))) AS line, generate_subscripts(string_split(text, chr(10)), 1) AS k FROM documents
-), b AS (
-  SELECT *, regexp_replace(line, '^\\s+|\\s+$', '', 'g') AS bare FROM n
-), m AS (
-  SELECT *, bare <> '' AND row_number() OVER (PARTITION BY bare ORDER BY doc_id, k) > 1 AS gone FROM b
-)
-SELECT doc_id, coalesce(string_agg(line, chr(10) ORDER BY k) FILTER (NOT gone), '') AS kept_text,
-       CAST(count(*) FILTER (bare <> '') AS BIGINT) AS lines, CAST(count(*) FILTER (gone) AS BIGINT) AS dropped
-FROM m GROUP BY doc_id
-"""
 
 
 @pytest.mark.parametrize("local", [1 << 26, 0])
@@ -43,4 +31,4 @@ def test_query_equals_a_plain_ranking(spark):
     con = duckdb.connect()
     con.execute(f"create view documents as select * from '{FOLDER}/documents.parquet'")
     got = queries.op5_line_dedup(spark, FOLDER).select("doc_id", "kept_text", "lines", "dropped").collect()
-    assert sorted(map(tuple, got)) == sorted(con.execute(FIRST_SQL).fetchall())
+    assert sorted(map(tuple, got)) == sorted(con.execute(queries.OP5_SQL).fetchall())

@@ -11,22 +11,6 @@ from pyspark.sql import functions as F
 from elimspark.llm import mixing, queries
 
 FOLDER = "/root/testdata/sf0.01"
-SEEDED_SQL = f"""
-WITH d AS (
-  SELECT doc_id, source, (((coalesce(doc_id, -1) % 2147483647 + 2147483647) % 2147483647) * 1103515245 + 12345) % 2147483648 AS h FROM documents
-), p AS (
-  SELECT doc_id, source, row_number() OVER (PARTITION BY source ORDER BY h, doc_id) AS place, count(*) OVER (PARTITION BY source) AS n FROM d
-), w AS (
-  SELECT source, CAST(count(*) AS HUGEINT) AS n, CAST(coalesce(TRY_CAST(nullif(regexp_extract(source, '([0-9]{{1,9}})$', 1), '') AS BIGINT) % 4 + 1, 1) AS HUGEINT) AS w FROM documents GROUP BY source
-), g AS (
-  SELECT source, (SELECT sum(n) FROM w)::HUGEINT * w AS times, n * (SELECT sum(w) FROM w)::HUGEINT AS parts,
-         CAST('0x' || substr(md5('{mixing.SEED}:' || coalesce('s' || source, '-')), 1, 7) AS HUGEINT) AS u FROM w
-), c AS (
-  SELECT p.doc_id, p.source, (times * place + parts * u // 268435456) // parts - (times * (place - 1) + parts * u // 268435456) // parts AS copies
-  FROM p JOIN g ON p.source IS NOT DISTINCT FROM g.source
-)
-SELECT doc_id, source, CAST(unnest(range(1, CAST(copies AS BIGINT) + 1)) AS BIGINT) AS copy FROM c WHERE copies > 0
-"""
 
 
 def test_small_sources_meet_their_targets_together(docs):
@@ -52,4 +36,4 @@ def test_query_equals_exact_sql(spark):
     con = duckdb.connect()
     con.execute(f"create view documents as select * from '{FOLDER}/documents.parquet'")
     got = queries.op1_mixing(spark, FOLDER).select("doc_id", "source", "copy").collect()
-    assert sorted(map(tuple, got)) == sorted(con.execute(SEEDED_SQL).fetchall())
+    assert sorted(map(tuple, got)) == sorted(con.execute(queries.OP1_SQL).fetchall())
