@@ -5,15 +5,19 @@ from __future__ import annotations
 from collections.abc import Callable, Iterable
 from dataclasses import fields
 
+import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.pandas.types import to_arrow_schema
+from pyspark.sql.types import ArrayType, LongType, StructField, StructType
 
 from .graph import MAX_VERTICES, Graph
 from .operators import bounds, local, measures, orders, prep, reduce
-from .operators.search import RUN_SCHEMA, Run, Walk
+from .operators.search import RUN_SCHEMA, LevelTooWide, Run, Walk
 from .plans.options import Options
-from .plans.planner import SearchPlan, plan
+from .storage import LevelStore
 
 RUN_FIELDS = [f.name for f in fields(Run) if f.name != "levels"]
 
@@ -28,17 +32,38 @@ def graph_of(edges: DataFrame, name: str | None = None, limit: int = MAX_VERTICE
     return Graph.of(size, [(r.u, r.v) for r in rows], name or "g")
 
 
+def packed(edges: DataFrame) -> DataFrame:
+    """(graph_id, pairs): the edges of each graph as a sorted array of u * 2**32 + v."""
+    return edges.select("graph_id", F.shiftleft(F.col("u").cast("long"), 32).bitwiseOR(F.col("v").cast("long")).alias("p")).groupBy("graph_id").agg(F.array_sort(F.collect_set("p")).alias("pairs"))
+
+
+def unpacked(pairs, name: str = "g") -> Graph:
+    values = np.asarray(pairs, np.int64)
+    u, v = values >> 32, values & 0xFFFFFFFF
+    return Graph.of(int(v.max()) + 1 if len(v) else 0, zip(u.tolist(), v.tolist()), name)
+
+
 def per_graph(edges: DataFrame, function: Callable[[Graph], Iterable[tuple]], schema: str) -> DataFrame:
-    """Rows of a function of each graph, graph_id in front: grouped work, one graph per call."""
-    names = [c.strip().split(" ")[0] for c in schema.split(",")]
+    """Rows of a function of each graph, graph_id in front. The function doesn't see the name: equal graphs are one call.
 
-    def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
-        size = int(rows["v"].max()) + 1
-        graph = Graph.of(size, zip(rows["u"].tolist(), rows["v"].tolist()), str(key[0]))
-        out = [(graph.name, *r) for r in function(graph)]
-        return pd.DataFrame(out, columns=["graph_id", *names])
+    Equal edge lists meet by one grouping; each distinct graph is a row of an Arrow batch.
+    """
+    graphs = packed(edges)
+    distinct = graphs.groupBy("pairs").agg(F.count("*").alias("copies")).select("pairs")
+    rows = ArrayType(StructType.fromDDL(schema))
+    names = rows.elementType.names
+    out = StructType([StructField("pairs", ArrayType(LongType())), StructField("rows", rows)])
+    arrow = to_arrow_schema(out).field("rows").type
 
-    return spread(edges.select("graph_id", "u", "v"), "graph_id").groupBy("graph_id").applyInPandas(run, f"graph_id string, {schema}")
+    def run(batches):
+        for batch in batches:
+            for j in range(batch.num_rows):
+                pairs = batch.column("pairs").slice(j, 1)
+                found = [dict(zip(names, r)) for r in function(unpacked(pairs[0].values))]
+                yield pa.RecordBatch.from_arrays([pairs, pa.array([found], arrow)], ["pairs", "rows"])
+
+    solved = spread(distinct, "pairs").mapInArrow(run, out)
+    return graphs.join(solved, "pairs").select("graph_id", F.inline("rows"))
 
 
 def spread(frame: DataFrame, *keys: str) -> DataFrame:
@@ -52,7 +77,11 @@ def spread(frame: DataFrame, *keys: str) -> DataFrame:
 
 
 def batch_widths(edges: DataFrame, options: Options | None = None, preprocess: bool = True) -> DataFrame:
-    """Runs of many graphs, each solved in one task."""
+    """Runs of many graphs, each distinct one solved once, in one task.
+
+    A graph that meets a level of over ``task_limit`` states has status 'deferred' and its
+    bounds; treewidth() walks those on the cluster.
+    """
     options = options or Options()
     schema = RUN_SCHEMA.split(", ", 1)[1]
 
@@ -60,29 +89,36 @@ def batch_widths(edges: DataFrame, options: Options | None = None, preprocess: b
         if not preprocess and graph.n > MAX_VERTICES:
             run = Run(graph.name, graph.n, graph.m, 0, None, bounds.mmw(graph), status="too_large")
         else:
-            run = local.solve(graph, options) if preprocess else local.sequential(graph, options)
+            try:
+                run = local.solve(graph, options) if preprocess else local.sequential(graph, options)
+            except LevelTooWide:
+                run = Run(graph.name, graph.n, graph.m, 0, None, bounds.mmw(graph), status="deferred", opts=options.json())
         return [tuple(getattr(run, f) for f in RUN_FIELDS[1:])]
 
     return per_graph(edges, one, schema)
 
 
-def treewidth(edges: DataFrame, options: Options | None = None, preprocess: bool = True, routes: SearchPlan | None = None) -> DataFrame:
-    """Runs of all graphs: small ones solved in tasks, large ones by distributed walks."""
+def treewidth(edges: DataFrame, options: Options | None = None, preprocess: bool = True) -> DataFrame:
+    """Runs of all graphs: solved in tasks, and those too wide for a task by distributed walks, one after the other.
+
+    Which way a graph goes depends on its own levels, not on how many others there are.
+    """
     spark, options = edges.sparkSession, options or Options()
-    routes = routes or plan(edges, options)
-    small = batch_widths(edges.where(F.col("graph_id").isin(routes.large) == F.lit(False)) if routes.large else edges, options, preprocess)
-    if not routes.large:
-        return small
+    store = LevelStore(spark, "runs")
+    done = store.write(batch_widths(edges, options, preprocess), 0, 0)
     runs = []
-    for name in routes.large:
-        graph = graph_of(edges, name)
+    for row in done.where("status = 'deferred'").select("graph_id").toLocalIterator():
+        graph = graph_of(edges, row.graph_id)
         runs.append(local.solve(graph, options, spark) if preprocess else Walk(graph, options, spark).width())
-    return small.unionByName(measures.runs_frame(spark, runs))
+    return done.where("status <> 'deferred'").unionByName(measures.runs_frame(spark, runs)) if runs else done
 
 
 def decide(spark: SparkSession, graph: Graph, k: int, options: Options | None = None) -> tuple[DataFrame, DataFrame]:
     """(one row with the answer, level counts) of one walk."""
-    good, levels, cut = Walk(graph, options, spark).decide(k)
+    walk = Walk(graph, options, spark)
+    good, levels, cut = walk.decide(k)
+    if walk.store is not None:
+        walk.store.drop()
     answer = spark.createDataFrame([(graph.name, k, good, cut)], "graph_id string, k int, feasible boolean, cut boolean")
     return answer, measures.levels_frame(spark, levels)
 

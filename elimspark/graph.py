@@ -107,9 +107,9 @@ def degrees(edges: DataFrame) -> DataFrame:
 
 
 def adjacency_masks(edges: DataFrame) -> DataFrame:
-    """(graph_id, vid, nbr): neighbour set of each vertex as one long; graphs of at most 64 vertices."""
+    """(graph_id, vid, nbr): neighbour set of each vertex as one long; fails on a graph of more than 64 vertices."""
     both = edges.select("graph_id", "u", "v").unionByName(edges.select("graph_id", F.col("v").alias("u"), F.col("u").alias("v")))
-    return both.groupBy("graph_id", F.col("u").alias("vid")).agg(F.bit_or(F.expr("shiftleft(1L, v)")).alias("nbr"))
+    return both.groupBy("graph_id", F.col("u").alias("vid")).agg(F.bit_or(F.expr("if(v < 64 and u < 64, shiftleft(1L, v), raise_error('a mask of one word holds 64 vertices'))")).alias("nbr"))
 
 
 def profile(edges: DataFrame) -> DataFrame:

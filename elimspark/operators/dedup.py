@@ -2,13 +2,15 @@
 
 A key is new if at least one of its bits was not set. Positions combine two 32-bit hashes
 linearly. Each key belongs to one task by hash partitioning, so nothing is set at the same
-time by two writers and no locks are needed; a batch is folded exactly first, then goes in
-by small steps, which is inserting one key after the other up to collisions inside a step.
+time by two writers and no locks are needed. A :class:`BloomChain` gives the results of
+inserting one key after the other, whatever the batches are.
 Errors are one-sided: a new key may be called old, never the reverse.
 """
 
 from __future__ import annotations
 
+from collections.abc import Iterable, Iterator
+
 import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -60,6 +62,81 @@ class BloomBits:
         return np.concatenate(parts) if parts else np.zeros(0, bool)
 
 
+class BloomChain:
+    """Filters of one size, one after the other: a full one stays for look-ups and a new one takes what follows."""
+
+    def __init__(self, items: int, bits_per_item: int, hashes: int):
+        self.items, self.make = items, lambda: BloomBits(items, bits_per_item, hashes)
+        self.filters, self.used = [self.make()], 0
+
+    def sift(self, keys: np.ndarray, step: int = 4096) -> np.ndarray:
+        """Which keys (words x batch) are new, as if each were inserted before the next is looked up."""
+        out = np.zeros(keys.shape[1], bool)
+        at = 0
+        while at < keys.shape[1]:
+            if self.used >= self.items:
+                self.filters.append(self.make())
+                self.used = 0
+            part = keys[:, at : at + step]
+            unseen = np.ones(part.shape[1], bool)
+            for old in self.filters[:-1]:
+                unseen &= old.missing(part)
+            here = np.flatnonzero(unseen)
+            current = self.filters[-1]
+            spots = current.spots(part[:, here]).T.ravel()
+            words, masks = (spots >> U64(6)).astype(np.int64), U64(1) << (spots & U64(63))
+            clear = np.flatnonzero(current.words[words] & masks == 0)
+            # A key is new if it is the first of all to touch one of its bits.
+            _, first = np.unique(spots[clear], return_index=True)
+            fresh = np.zeros(len(here), bool)
+            fresh[clear[first] // current.hashes] = True
+            room = self.items - self.used
+            taken, stop = len(here), part.shape[1]
+            if fresh.sum() > room:
+                taken = int(np.flatnonzero(fresh)[room - 1]) + 1
+                stop = int(here[taken - 1]) + 1
+            np.bitwise_or.at(current.words, words[: taken * current.hashes], masks[: taken * current.hashes])
+            out[at + here[:taken][fresh[:taken]]] = True
+            self.used += int(fresh[:taken].sum())
+            at += stop
+        return out
+
+
+def sift_rows(batches: Iterable[tuple], items: int, bits_per_item: int, hashes: int) -> Iterator[tuple]:
+    """(sets, last, ways, lost) that the filters let through, from batches of (shard, sets, last, ways).
+
+    Rows come sorted by shard, hash, set and last, so equal sets stand side by side. ``lost``
+    counts the sets that a filter took for repeats though they are none, beside the row before.
+    """
+    chain, shard, previous, held = None, None, None, None
+    for shards, sets, last, ways in batches:
+        if not sets.shape[1]:
+            continue
+        new = np.ones(sets.shape[1], bool)
+        new[1:] = (sets[:, 1:] != sets[:, :-1]).any(0)
+        new[0] = previous is None or (sets[:, 0] != previous).any()
+        previous = sets[:, -1].copy()
+        fresh = np.zeros(sets.shape[1], bool)
+        edges = [0, *(np.flatnonzero(shards[1:] != shards[:-1]) + 1), len(shards)]
+        for a, b in zip(edges, edges[1:]):
+            if shards[a] != shard:
+                chain, shard = BloomChain(items, bits_per_item, hashes), shards[a]
+            asked = a + np.flatnonzero(new[a:b])
+            fresh[asked] = chain.sift(sets[:, asked])
+        missed = (new & ~fresh).astype(np.int64)
+        begins = np.flatnonzero(fresh)
+        lead = begins[0] if len(begins) else len(fresh)
+        if held is not None:
+            held[2][-1] += ways[:lead].sum()
+            held[3][-1] += missed[:lead].sum()
+        if len(begins):
+            if held is not None:
+                yield held
+            held = (sets[:, begins], last[begins], np.add.reduceat(ways, begins), np.add.reduceat(missed, begins))
+    if held is not None:
+        yield held
+
+
 def bloom_fpr(n: float, m: float, h: int) -> float:
     """Chance that a new key is called old, with n keys in m bits and h hash functions."""
     return (1.0 - np.exp(-h * n / m)) ** h

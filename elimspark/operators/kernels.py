@@ -2,18 +2,24 @@
 
 States are arrays of words x batch (uint64). A kernel returns n x batch degrees: for a
 vertex outside the set, the number of outside vertices that it reaches directly or through
-the set. Four kernels compute the same numbers by different principles:
+the set. Five kernels compute the same numbers by different principles:
 
 ``search``  per vertex, grow the part of the set that it reaches until nothing is added;
 ``parts``   components of the set and their neighbourhoods once per state, then one look-up
             per edge;
 ``remove``  remove the set's vertices one by one from a copy of the adjacency, per state;
-            the default, as the fastest here, and the only one that takes a graph per state;
+            the only one that takes a graph per state;
+``prefix``  as remove, but what is left after the highest vertices of a set is computed once for
+            all sets of the batch that share them: the default, as the fastest, best on sorted batches;
 ``expr``    Catalyst expressions, see :mod:`elimspark.functions.bits`.
 """
 
 from __future__ import annotations
 
+import os
+from concurrent.futures import ThreadPoolExecutor
+from functools import lru_cache
+
 import numpy as np
 
 U64 = np.uint64
@@ -158,7 +164,72 @@ def degrees_remove(sets: np.ndarray, table: np.ndarray, skip: int = 0) -> np.nda
     return out
 
 
-KERNELS = {"search": degrees_search, "parts": degrees_parts, "remove": degrees_remove}
+@lru_cache(maxsize=64)
+def _numbered(blob: bytes, n: int, skip: int) -> tuple[list[int], np.ndarray]:
+    """(vertices that need a row, masks of these rows) with the vertices renumbered: those with a row have the low bits."""
+    masks = np.frombuffer(blob, U64).tolist()
+    left = sorted(range(n), key=lambda v: (skip >> v & 1, v))
+    rows = [v for v in left if not skip >> v & 1]
+    width = next(w for w in (16, 32, 64) if n <= w)
+    return rows, np.array([[sum(1 << i for i, u in enumerate(left) if masks[v] >> u & 1)] for v in rows], getattr(np, f"uint{width}"))
+
+
+def degrees_prefix(sets: np.ndarray, table: np.ndarray, skip: int = 0) -> np.ndarray:
+    """Removal along a tree of shared prefixes; vertices of ``skip`` get no degree.
+
+    The prefix of length d of a set is its d highest vertices. In a sorted batch sets that
+    share a prefix stand side by side, so the graphs of all prefixes of length d + 1 come
+    from those of length d by one gather and one removal each, and most of the work is the
+    last removal. Sets of more than one word go to ``remove``.
+    """
+    if table.ndim != 2 or len(sets) > 1:
+        return degrees_remove(sets, table, skip)
+    row = sets[0]
+    n, batch = table.shape[1], len(row)
+    out = np.zeros((n, batch), np.uint8)
+    if not batch:
+        return out
+    rows, graph = _numbered(table.tobytes(), n, skip)
+    kind = graph.dtype.type
+    width = 8 * graph.dtype.itemsize
+    signed = getattr(np, f"int{width}")
+    if rows == list(range(len(rows))):
+        packed = row.astype(kind)
+    else:
+        packed = np.zeros(batch, kind)
+        for i, u in enumerate(rows):
+            packed |= (row >> U64(u) & U64(1)).astype(kind) << kind(i)
+    chain = [packed]
+    while chain[-1].any():
+        chain.append(chain[-1] & (chain[-1] - kind(1)))
+    parent_of = np.zeros(batch, np.intp)
+    for prefix in reversed(chain[:-1]):
+        first = np.empty(batch, bool)
+        first[0] = True
+        np.not_equal(prefix[1:], prefix[:-1], out=first[1:])
+        begins = np.flatnonzero(first)
+        here, parents = prefix[begins], parent_of[begins]
+        graph = np.take(graph, parents, axis=1, mode="clip")
+        low = here & (~here + kind(1))
+        vertex = np.bitwise_count(low - kind(1)).astype(np.intp)
+        vertex[low == 0] = 0
+        gone = graph[vertex, np.arange(len(begins))] & (kind(0) - (low != 0).astype(kind))
+        touch = np.left_shift(graph, (width - 1 - vertex).astype(kind)[None])
+        np.right_shift(touch.view(signed), signed(width - 1), out=touch.view(signed))
+        np.bitwise_and(touch, gone, out=touch)
+        np.bitwise_or(graph, touch, out=graph)
+        parent_of = np.cumsum(first) - 1
+    if len(chain) == 1:
+        graph = np.repeat(graph, batch, 1)
+    elif graph.shape[1] != batch:
+        graph = graph[:, parent_of]
+    graph &= ~packed
+    graph &= np.array([(1 << width) - 1 & ~(1 << i) for i in range(len(rows))], kind)[:, None]
+    out[rows] = np.bitwise_count(graph)
+    return out
+
+
+KERNELS = {"search": degrees_search, "parts": degrees_parts, "remove": degrees_remove, "prefix": degrees_prefix}
 
 
 def split_mask(mask: int, words: int) -> np.ndarray:
@@ -167,7 +238,7 @@ def split_mask(mask: int, words: int) -> np.ndarray:
 
 
 def fold(sets: np.ndarray, last: np.ndarray, ways: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """One row per distinct set, sorted: the first ``last`` in the order given, summed ``ways``.
+    """One row per distinct set, sorted: the least ``last``, summed ``ways``.
 
     The sort is stable and merges runs, which is what expansion makes: one rising run per vertex.
     """
@@ -177,13 +248,33 @@ def fold(sets: np.ndarray, last: np.ndarray, ways: np.ndarray) -> tuple[np.ndarr
     sets = sets[:, order]
     new = np.concatenate([[True], (sets[:, 1:] != sets[:, :-1]).any(0)])
     begins = np.flatnonzero(new)
-    return sets[:, begins], last[order[begins]], np.add.reduceat(ways[order], begins)
+    return sets[:, begins], np.minimum.reduceat(last[order], begins), np.add.reduceat(ways[order], begins)
+
+
+def fold_runs(found: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """fold() of several rising runs (sets, last, ways); large ones by threads that take a range of sets each."""
+    if len(found[0][0]) > 1 or sum(f[0].shape[1] for f in found) < 1 << 18:
+        return fold(*(np.concatenate([f[j] for f in found], 1 if j == 0 else 0) for j in range(3)))
+    sample = np.sort(np.concatenate([f[0][0, :: max(1, f[0].shape[1] // 64)] for f in found]))
+    cuts = np.unique(sample[np.linspace(0, len(sample) - 1, 2 * THREADS + 1).astype(int)[1:-1]])
+    places = [np.concatenate([[0], np.searchsorted(f[0][0], cuts), [f[0].shape[1]]]) for f in found]
+
+    def one(j: int):
+        spans = [(f, p[j], p[j + 1]) for f, p in zip(found, places) if p[j + 1] > p[j]]
+        if not spans:
+            return None
+        return fold(*(np.concatenate([f[i][..., a:b] for f, a, b in spans], -1) for i in range(3)))
+
+    with ThreadPoolExecutor(THREADS) as pool:
+        parts = [p for p in pool.map(one, range(len(cuts) + 1)) if p is not None]
+    return tuple(np.concatenate([p[j] for p in parts], -1) for j in range(3))
 
 
 def _block(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, barred: np.ndarray, kernel: str, bound) -> tuple[list, int]:
     """Per vertex the feasible supersets of one block, and how many sets the bound dropped."""
-    if kernel == "remove" and bound is None:
-        degree = degrees_remove(sets, table, sum(int(w) << 64 * i for i, w in enumerate(barred)))
+    n = table.shape[1]
+    if kernel in ("remove", "prefix") and bound is None:
+        degree = KERNELS[kernel](sets, table, sum(int(w) << 64 * i for i, w in enumerate(barred)))
     else:
         degree = KERNELS[kernel](sets, table)
     pruned = 0
@@ -191,23 +282,32 @@ def _block(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, barred
         good = bound(sets, degree, table)
         pruned = int((~good).sum())
         sets, last, degree = sets[:, good], last[good], degree[:, good]
+    batch = sets.shape[1]
+    if not batch:
+        return [None] * n, pruned
     closed = sets | barred[:, None]
-    out = []
-    for v in range(table.shape[1]):
-        if barred[v >> 6] >> U64(v & 63) & U64(1):
-            out.append(None)
-            continue
-        hit = np.flatnonzero((degree[v] <= k) & (closed[v >> 6] >> U64(v & 63) & U64(1) == 0))
-        if not len(hit):
-            out.append(None)
-            continue
-        more = sets[:, hit]
-        more[v >> 6] |= U64(1) << U64(v & 63)
-        out.append((more, (last[hit].view(np.uint32) << np.uint32(8) | np.uint32(v)).view(np.int32)))
-    return out, pruned
+    fits = degree <= k
+    for w in range(len(sets)):
+        mine = slice(64 * w, min(n, 64 * w + 64))
+        own = U64(1) << np.arange(mine.stop - mine.start, dtype=U64)
+        fits[mine] &= (closed[w][None] & own[:, None]) == 0
+    hit = np.flatnonzero(fits)
+    vertex, at = np.divmod(hit, batch)
+    more = sets[:, at]
+    if len(sets) == 1:
+        more[0] |= U64(1) << vertex.astype(U64)
+    else:
+        more[vertex >> 6, np.arange(len(hit))] |= U64(1) << (vertex & 63).astype(U64)
+    tail = (last[at].view(np.uint32) << np.uint32(8) | vertex.astype(np.uint32)).view(np.int32)
+    ends = np.searchsorted(hit, np.arange(n + 1) * batch)
+    return [(more[:, i:j], tail[i:j]) if j > i else None for i, j in zip(ends, ends[1:])], pruned
+
+
+#: Threads that merge runs on the driver.
+THREADS = os.cpu_count() or 1
 
 
-def expand(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, clique: int = 0, kernel: str = "remove", bound=None, block: int = BLOCK) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
+def expand(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, clique: int = 0, kernel: str = "prefix", bound=None, block: int = BLOCK) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
     """Feasible supersets by one vertex of every set of a batch: (sets, last, ways, sets dropped by the bound).
 
     A set's vertex v is feasible if v is outside the set and the clique and its degree is
@@ -218,9 +318,7 @@ def expand(sets: np.ndarray, last: np.ndarray, table: np.ndarray, k: int, clique
     words, n = table.shape
     barred = split_mask(clique, words)
     last = np.ascontiguousarray(last)
-    cuts = range(0, sets.shape[1], block)
-    job = lambda a: _block(sets[:, a : a + block], last[a : a + block], table, k, barred, kernel, bound)
-    done = [job(a) for a in cuts]
+    done = [_block(sets[:, a : a + block], last[a : a + block], table, k, barred, kernel, bound) for a in range(0, sets.shape[1], block)]
     found = [part[v] for v in range(n) for part, _ in done if part[v] is not None]
     pruned = sum(p for _, p in done)
     if not found:

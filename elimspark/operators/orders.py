@@ -64,14 +64,17 @@ def _row(front, names: list[str], mask: int | None) -> tuple[int, int] | None:
 def elimination_order(graph: Graph, options: Options | None = None, method: str = "levels", spark: SparkSession | None = None) -> tuple[Run, list[int]]:
     """(run, an order of least width).
 
-    'levels'   keep every fourth level; a state's packed last four vertices lead back to it
+    'levels'   keep every fourth level, counted from the last; a state's packed last four
+               vertices lead back to the one before
     'parents'  keep every level and go back by one vertex at a time
-    'rerun'    keep nothing: bar the vertices known to come last and walk again for four more
+    'rerun'    keep the last level alone: bar the vertices known to come last and walk again
+               for four more, in a session's own walks where there is one
+    Levels of over KEEP_LOCAL states are kept in the shared store, where there is a session.
     """
     options = options or Options()
     walk = Walk(graph, options, spark)
     keep: dict = {}
-    run = walk.width(keep)
+    run = walk.width(keep, {"levels": 4, "parents": 1, "rerun": 0}[method])
     if run.width is None:
         return run, []
     if not keep:
@@ -92,7 +95,7 @@ def elimination_order(graph: Graph, options: Options | None = None, method: str
             break
         if method == "rerun":
             barred = (1 << graph.n) - 1 & ~mask
-            found = _barred_walk(graph, run.width, barred, level, options.kernel)
+            found = _barred_walk(graph, run.width, barred, level, options, spark)
         else:
             found = _row(keep[level], walk.names, mask)
         if found is None:
@@ -103,12 +106,16 @@ def elimination_order(graph: Graph, options: Options | None = None, method: str
     return run, order + tail
 
 
-def _barred_walk(graph: Graph, k: int, barred: int, levels: int, kernel: str) -> tuple[int, int] | None:
-    sets, last = np.zeros((graph.words, 1), np.uint64), np.zeros(1, np.int32)
-    for _ in range(levels):
-        sets, last, ways, _ = kernels.expand(sets, last, graph.table(), k, barred, "remove" if kernel == "expr" else kernel)
-        sets, last, _ = kernels.fold(sets, last, ways)
-    return _row((sets, last, None), [f"s{w}" for w in range(graph.words)], None)
+def _barred_walk(graph: Graph, k: int, barred: int, levels: int, options: Options, spark: SparkSession | None) -> tuple[int, int] | None:
+    """The state of ``levels`` vertices that a walk within the others than ``barred`` ends in."""
+    again = Walk(graph, options.but(clique="none", early_stop=False, augment=False, clique_on="input", mmw="off", capacity=None), spark)
+    again.clique = barred
+    keep: dict = {}
+    again.decide(k, keep, 0, levels)
+    found = _row(keep[levels], again.names, None) if levels in keep else None
+    if again.store is not None:
+        again.store.drop()
+    return found
 
 
 def tree_decomposition(graph: Graph, order: list[int]) -> list[tuple[int, int, list[int]]]:

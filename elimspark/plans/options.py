@@ -24,9 +24,10 @@ class Options:
     mmw         'off', 'min' or 'second': drop states by the contraction bound
     mmw_impl    'explicit' (a copy of the remaining graph) or 'implicit' (degrees and disjoint sets)
     capacity    most states of a level; the surplus is dropped by hash order, the same for every run
-    kernel      'remove', 'parts', 'search' or 'expr'
+    kernel      'prefix', 'remove', 'parts', 'search' or 'expr'
     adjacency   'literal' (in the task's code), 'broadcast' or 'join' (as a column)
-    local_limit states up to which a level runs on the driver
+    local_limit states up to which a level runs on the driver; no result depends on it
+    task_limit  states of a level up to which a graph is searched inside one task; beyond it the graph gets a walk of its own
     batch_rows  states per kernel block, None: by the number of vertices
     partitions  shuffle partitions of a level, None: the session's
     """
@@ -44,15 +45,16 @@ class Options:
     mmw: str = "off"
     mmw_impl: str = "explicit"
     capacity: int | None = None
-    kernel: str = "remove"
+    kernel: str = "prefix"
     adjacency: str = "literal"
-    local_limit: int = 500_000
+    local_limit: int = 2_000_000
+    task_limit: int = 1_000_000
     batch_rows: int | None = None
     partitions: int | None = None
 
     def block(self, n: int) -> int:
         """States per kernel block: as many as keep a block's masks in a core's cache."""
-        return self.batch_rows or (8192 if n <= 32 else 2048)
+        return self.batch_rows or (2048 if n > 32 and self.kernel != "prefix" else 8192)
 
     def json(self) -> str:
         return json.dumps(asdict(self), sort_keys=True)

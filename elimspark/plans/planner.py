@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -10,10 +10,8 @@ from pyspark.sql import functions as F
 from ..graph import MAX_VERTICES, profile
 from .options import Options
 
-#: Graphs up to this many vertices are solved in one task each.
+#: Graphs up to this many vertices can't leave their task: a level has at most C(20, 10) states.
 TASK_VERTICES = 20
-#: Most graphs that are walked one after the other by the driver.
-LARGE_LIMIT = 64
 
 
 @dataclass
@@ -22,28 +20,21 @@ class SearchPlan:
 
     options: Options
     graphs: int
-    large: list[str] = field(default_factory=list)
+    larger: int = 0
     refused: int = 0
 
     def explain(self) -> str:
         o = self.options
         return "\n".join((
             f"graphs: {self.graphs}",
-            f"in tasks: {self.graphs - len(self.large)} (up to {TASK_VERTICES} vertices, or beyond the first {LARGE_LIMIT} larger ones)",
-            f"distributed walks: {len(self.large)}",
+            f"in tasks: all, each distinct one once; {self.larger} have over {TASK_VERTICES} vertices and leave their task for a walk on the cluster if a level passes {o.task_limit} states",
             f"beyond {MAX_VERTICES} vertices: {self.refused}, split first, refused if a piece stays that large",
             f"level: scan -> expand[{o.kernel}, k, clique={o.clique}, mmw={o.mmw}] -> fold in task={o.combine} -> exchange(set) -> {o.dedup}",
         ))
 
 
 def plan(edges: DataFrame, options: Options) -> SearchPlan:
-    """Reads one row per larger graph, at most LARGE_LIMIT; all others go to tasks.
-
-    A batch of very many larger graphs is parallel by graph already, so only the largest
-    few are walked on the whole cluster.
-    """
-    sizes = profile(edges)
-    total = sizes.agg(F.count("*").alias("n"), F.coalesce(F.sum((F.col("n") > MAX_VERTICES).cast("long")), F.lit(0)).alias("over")).first()
-    larger = sizes.where((F.col("n") > TASK_VERTICES) & (F.col("n") <= MAX_VERTICES))
-    few = larger.orderBy(F.desc("m"), "graph_id").limit(LARGE_LIMIT).select("graph_id").collect()
-    return SearchPlan(options, total.n, [r.graph_id for r in few] if total.n <= LARGE_LIMIT else [], total.over)
+    """One row of counts, whatever the number of graphs."""
+    over = lambda least: F.coalesce(F.sum((F.col("n") > least).cast("long")), F.lit(0))
+    total = profile(edges).agg(F.count("*").alias("n"), over(TASK_VERTICES).alias("larger"), over(MAX_VERTICES).alias("refused")).first()
+    return SearchPlan(options, total.n, total.larger, total.refused)

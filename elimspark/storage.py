@@ -9,12 +9,14 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """``spark.checkpoint.dir`` of the session; a local folder only where it is unset."""
+    """``spark.checkpoint.dir`` of the session; a local folder only where it is unset and the session is local."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if folder:
         return folder
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
+        if not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="elimspark-"))
     return context.getCheckpointDir()
 
@@ -37,9 +39,16 @@ class LevelStore:
         reader = self.spark.read.schema(schema) if schema is not None else self.spark.read
         return reader.parquet(self.path(k, level))
 
+    def bytes(self, k: int, level: int) -> int:
+        """Size of a stored level."""
+        path, files = self._files(self.path(k, level))
+        return files.getContentSummary(path).getLength()
+
+    def _files(self, where: str):
+        path = self.spark.sparkContext._jvm.org.apache.hadoop.fs.Path(where)
+        return path, path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration())
+
     def drop(self, k: int | None = None, level: int | None = None) -> None:
         """Delete one level, or the whole store."""
-        where = self.root if k is None else self.path(k, level)
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(where)
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        path, files = self._files(self.root if k is None else self.path(k, level))
+        files.delete(path, True)

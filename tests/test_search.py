@@ -230,7 +230,7 @@ def test_api_routes_and_frames(spark):
     assert api.pieces(named.edge_frame(spark, named.path(9))).count() == 8
     from elimspark.plans.planner import plan
 
-    assert "distributed walks: 1" in plan(edges, Options()).explain()
+    assert "1 have over 20 vertices" in plan(edges, Options()).explain()
     assert named.queen_edges(spark, 5).count() == named.queen(5).m
 
 
@@ -244,3 +244,90 @@ def test_components_and_elimination(spark):
     assert sorted((r.u, r.v) for r in orders.eliminate(edges, 1).collect()) == [(0, 2), (3, 4)]
     long = named.edge_frame(spark, named.path(200))
     assert {r.component for r in prep.components(long).collect()} == {0}
+
+
+def counts(run):
+    return [(x.k, x.level, x.expanded, x.feasible, x.kept, x.dropped_bloom, x.dropped_capacity) for x in run.levels]
+
+
+@pytest.mark.parametrize("options", [Options(), Options(dedup="bloom", bloom_bits=4, bloom_hashes=3), Options(capacity=30), Options(dedup="bloom", bloom_bits=4, bloom_hashes=3, capacity=30), Options(mmw="min")])
+def test_no_result_depends_on_where_a_level_runs(spark, options):
+    g = gnp(11, 0.4, 5)
+    first, *others = (Walk(g, options.but(local_limit=limit), spark).width() for limit in (10**6, 40, 0))
+    for run in others:
+        assert (run.width, run.status, run.candidate_k, run.explored) == (first.width, first.status, first.candidate_k, first.explored)
+        assert [c[:5] + c[6:] for c in counts(run)] == [c[:5] + c[6:] for c in counts(first)]
+        assert sum(x.dropped_bloom for x in run.levels) == sum(x.dropped_bloom for x in first.levels)
+    assert all(x.kept <= (options.capacity or 10**9) for x in first.levels)
+
+
+def test_row_hash_is_that_of_the_cluster(spark):
+    from pyspark.sql import functions as F
+
+    from elimspark.operators.search import row_hash
+
+    sets = np.random.default_rng(0).integers(0, 1 << 63, (4, 50)).astype(np.uint64) * np.uint64(3)
+    for words in (1, 4):
+        frame = spark.createDataFrame([tuple(int(x) for x in c) for c in sets[:words].view(np.int64).T], ", ".join(f"s{w} long" for w in range(words)))
+        assert [r.h for r in frame.select(F.xxhash64(*frame.columns).alias("h")).collect()] == row_hash(sets[:words]).tolist()
+
+
+@settings(max_examples=20, deadline=None)
+@given(st.integers(0, 10**6), st.integers(1, 40), st.integers(1, 300))
+def test_a_chain_of_filters_inserts_one_by_one(seed, items, step):
+    from elimspark.operators.dedup import BloomChain
+
+    keys = np.random.default_rng(seed).integers(0, 200, 150).astype(np.uint64)[None]
+    one, some = BloomChain(items, 4, 3), BloomChain(items, 4, 3)
+    single = [bool(one.sift(keys[:, j : j + 1])[0]) for j in range(keys.shape[1])]
+    assert some.sift(keys, step).tolist() == single
+
+
+def test_crew_and_one_process_agree(spark):
+    from elimspark.operators import crew
+
+    g = named.mycielski(4)
+    old, crew.SLAB = crew.SLAB, 256
+    try:
+        many = Walk(g, Options(), spark).width()
+    finally:
+        crew.SLAB = old
+    assert counts(many) == counts(local.sequential(g)) and many.explored == 97_765
+
+
+def test_a_wide_graph_leaves_its_task_however_many_there_are(spark):
+    wide = gnp(24, 0.25, 1)
+    graphs = [Graph(wide.n, wide.masks, "wide"), *(Graph(named.cycle(5).n, named.cycle(5).masks, f"c{k}") for k in range(70))]
+    edges = named.edge_frame(spark, *graphs)
+    options = Options(task_limit=20)
+    assert [r.graph_id for r in api.batch_widths(edges, options).where("status = 'deferred'").collect()] == ["wide"]
+    runs = {r.graph_id: r for r in api.treewidth(edges, options).collect()}
+    assert len(runs) == 71 and runs["wide"].width == local.solve(wide).width and runs["c69"].width == 2
+
+
+def test_more_vertices_than_a_word(spark):
+    from elimspark.graph import adjacency_masks
+    from elimspark.operators.many import widths_many
+
+    edges = named.edge_frame(spark, Graph.of(70, [(0, v) for v in range(1, 70)], "star"), named.cycle(66), named.grid(4, 4))
+    assert {r.graph_id: r.width for r in widths_many(edges).collect()} == {"star": 1, "C66": 2, "grid4x4": 4}
+    with pytest.raises(Exception, match="64 vertices"):
+        adjacency_masks(edges).collect()
+
+
+@pytest.mark.parametrize(("method", "gaps"), [("levels", {4}), ("parents", {1}), ("rerun", set())])
+def test_kept_levels_and_orders_on_both_sides(spark, method, gaps):
+    g = gnp(13, 0.3, 4)
+    keep: dict = {}
+    walk = Walk(g, Options(), spark)
+    run = walk.width(keep, {"levels": 4, "parents": 1, "rerun": 0}[method])
+    kept = sorted(keep)
+    assert {b - a for a, b in zip(kept, kept[1:])} <= gaps and kept[-1] == g.n - run.width - 1
+    for spark_or_none, limit in ((None, 10**6), (spark, 0)):
+        run, order = orders.elimination_order(g, Options(local_limit=limit), method, spark_or_none)
+        assert sorted(order) == list(range(g.n)) and orders.order_width(g, order) == run.width
+
+
+def test_levels_are_measured(spark):
+    run = Walk(named.queen(4), Options(local_limit=0), spark).width()
+    assert all(x.bytes > 0 and x.shuffle_bytes > 0 and x.skew >= 1 for x in run.levels if x.kept)
