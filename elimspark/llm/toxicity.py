@@ -2,24 +2,27 @@
 
 Folding maps look-alike letters, full-width forms, accents and digit substitutions to
 one letter each, for the lexicon and the text alike, so no spelling of a term needs an
-entry of its own. A match counts where it starts a word; an entry that ends in ``*``
+entry of its own. A substitution sign at the end of a word may be punctuation as well:
+the readings are searched, and a word counts once. A match counts where it starts a word; an entry that ends in ``*``
 matches any ending, the others must end the word too. Where several entries match in one
 word the largest weight counts. Matches inside an exception phrase count nothing.
 The score is the sum of weights per 100 words (at least ``MIN_WORDS`` words).
 
 The lexicon is a public seed list plus entries learned from labelled documents: words
 and word beginnings whose share of toxic documents exceeds that of clean ones by far,
-weighted by the logarithm of that ratio. Learning reads at most ``MAX_LABELLED`` labelled
+as many as the sample has, weighted by the logarithm of that ratio. Learning reads at most ``MAX_LABELLED`` labelled
 documents of each class; the cut score is the one that best separates a held-out
 quarter of them, scored with the lexicon of the rest.
 
 Edge cases: null or empty text scores 0; a null doc_id keeps its row; rows are scored one
-by one, so repeated rows give repeated results; without labels the seed list is used alone.
+by one, so repeated rows give repeated results; an empty table gives no rows; other columns
+are not looked at; without labels the seed list is used alone.
 """
 
 from __future__ import annotations
 
 import math
+import re
 import unicodedata
 from collections import Counter
 from collections.abc import Iterable
@@ -36,7 +39,10 @@ MIN_WORDS = 20
 #: Learned entries need this many toxic documents and this log ratio.
 MIN_DOCS, MIN_WEIGHT = 3, 3.0
 STEMS = range(4, 9)
-MAX_LEARNED = 20_000
+#: Signs that stand for letters, at the end of a word.
+TAIL = re.compile(r"[!|$@€£]+(?![\w!|$@€£])")
+#: Of these the ones that are punctuation first, behind the others.
+MARKS = re.compile(r"[!|]+(?![\w!|$@€£])")
 
 SEED = {
     **dict.fromkeys("idiot idiots moron morons stupid scum trash pathetic worthless disgusting loser losers clown clowns".split(), 6.0),
@@ -81,6 +87,11 @@ def fold(text: str) -> str:
     return text.translate(_FOLD)
 
 
+def plain_ends(text: str, signs: re.Pattern = TAIL) -> str:
+    """The text with spaces for substitution signs at the ends of words; as long as before."""
+    return signs.sub(lambda m: " " * len(m[0]), text)
+
+
 def bare(text: str) -> str:
     """A lexicon entry in folded form, its spaces single."""
     return " ".join(fold(text).split())
@@ -108,21 +119,25 @@ class Matcher:
 
     def scan(self, text: str) -> tuple[float, int, int]:
         """(sum of weights, matched words, words) of a text."""
-        folded = fold(text)
+        plain = plain_ends(text)
+        folded = fold(plain)
         words = len(folded.split())
-        if self.empty or not words:
+        if self.empty or not (words or plain != text):
             return 0.0, 0, words
-        padded = f" {folded} "
         best: dict[int, float] = {}
         excused: list[tuple[int, int]] = []
-        for end, (length, whole, stem, excuse) in self.automaton.iter(padded):
-            closed = padded[end + 1] == " "
-            start = end - length + 1
-            if excuse and closed:
-                excused.append((start, end))
-            weight = max(stem, whole if closed else 0.0)
-            if weight > best.get(start, 0.0):
-                best[start] = weight
+        # All readings fold to the same places: signs differ, not their number.
+        readings = {folded} if plain == text else {folded, fold(text), fold(plain_ends(text, MARKS))}
+        for reading in readings:
+            padded = f" {reading} "
+            for end, (length, whole, stem, excuse) in self.automaton.iter(padded):
+                closed = padded[end + 1] == " "
+                start = end - length + 1
+                if excuse and closed:
+                    excused.append((start, end))
+                weight = max(stem, whole if closed else 0.0)
+                if weight > best.get(start, 0.0):
+                    best[start] = weight
         for a, b in excused:
             for start in [s for s in best if a <= s < b]:
                 del best[start]
@@ -148,7 +163,7 @@ def learn(spark: SparkSession, documents: DataFrame, labels: DataFrame | None, l
         counts: Counter = Counter()
         for batch in batches:
             for text, toxic, held in zip(*(batch.column(c).to_pylist() for c in ("text", "toxic", "held"))):
-                words = set(fold(text or "").split())
+                words = set(fold(plain_ends(text or "")).split())
                 seen = words | {w[:k] + "*" for w in words for k in STEMS if len(w) >= k}
                 counts.update((x, toxic, held) for x in seen)
                 counts[("", toxic, held)] += 1
@@ -167,7 +182,7 @@ def learn(spark: SparkSession, documents: DataFrame, labels: DataFrame | None, l
         return F.when((F.col(bad) >= MIN_DOCS) & (ratio >= MIN_WEIGHT), F.round(ratio, 6)).otherwise(0.0)
 
     weighed = per.where("term <> ''").select("term", weight("bad", "good").alias("final"), weight("bad_seen", "good_seen").alias("trial"))
-    rows = weighed.where("final > 0 or trial > 0").orderBy(F.desc(F.greatest("final", "trial")), "term").limit(MAX_LEARNED).collect()
+    rows = weighed.where("final > 0 or trial > 0").collect()
 
     def lexicon(column: str) -> dict[str, float]:
         return SEED | {r.term: max(SEED.get(r.term, 0.0), r[column]) for r in rows if r[column]}
@@ -196,7 +211,7 @@ def best_cut(toxic: list[float], clean: list[float]) -> float:
 
 
 def score(documents: DataFrame, lexicon: dict[str, float], cut: float) -> DataFrame:
-    """Every row with ``toxic_weight``, ``toxic_hits``, ``toxic_score`` and ``rejected``; only doc_id is carried."""
+    """Every row with ``toxic_hits``, ``words``, ``toxic_score`` and ``rejected``; only doc_id is carried."""
     matcher_of = lexicon
 
     def run(batches):
