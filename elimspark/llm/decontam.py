@@ -9,8 +9,11 @@ Aho-Corasick automaton, and around each hit Myers' bit-parallel distance verifie
 The automaton travels with the tasks, so its size is checked: items beyond
 ``PIECE_LIMIT`` signs are searched in further passes over the documents.
 
-Edge cases: null and empty texts hold nothing; items shorter than ``MIN_ITEM`` signs are
-too common to count as leaks and are left out, as are null items; a null doc_id gives a
+Items of fewer than ``SHORT`` signs would match anything within an edit of one: they have
+budget 0 and count between word borders only.
+
+Edge cases: null and empty texts hold nothing; items without a letter or digit and null
+items are nothing to look for; a null doc_id gives a
 row with null doc_id; equal items each give a row; rows of one doc_id are merged, the
 least distance stays.
 """
@@ -23,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-RATE, MIN_ITEM, PIECE_LIMIT = 0.06, 24, 8_000_000
+RATE, SHORT, PIECE_LIMIT = 0.06, 24, 8_000_000
 
 
 def plain(column: Column) -> Column:
@@ -32,7 +35,7 @@ def plain(column: Column) -> Column:
 
 
 def budget(length: int, rate: float = RATE) -> int:
-    return max(1, int(rate * length))
+    return max(1, int(rate * length)) if length >= SHORT else 0
 
 
 def myers(pattern: str, text: str, most: int) -> int | None:
@@ -89,12 +92,17 @@ class Pieces:
         if self.empty or not text:
             return []
         spans: dict[int, list[tuple[int, int]]] = {}
+        whole: dict[int, int] = {}
         for end, (length, places) in self.automaton.iter(text):
             for k, offset in places:
                 _, item, edits = self.items[k]
                 start = end - length + 1 - offset
+                if len(item) < SHORT:
+                    if (start == 0 or text[start - 1] == " ") and (end + 1 == len(text) or text[end + 1] == " "):
+                        whole[k] = 0
+                    continue
                 spans.setdefault(k, []).append((start - edits, start + len(item) + edits))
-        found = []
+        found = [(self.items[k][0], edits) for k, edits in whole.items()]
         for k, windows in spans.items():
             ident, item, edits = self.items[k]
             windows.sort()
@@ -117,7 +125,7 @@ class Pieces:
 
 def item_slices(benchmark: DataFrame, limit: int = PIECE_LIMIT) -> list[list[tuple[int, str]]]:
     """The items in plain form, in slices of at most ``limit`` signs (or one item)."""
-    rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), plain(F.col("text")).alias("text")).where(F.length("text") >= MIN_ITEM).orderBy("item_id", "text").toLocalIterator()
+    rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), plain(F.col("text")).alias("text")).where("text <> ''").orderBy("item_id", "text").toLocalIterator()
     slices: list[list[tuple[int, str]]] = [[]]
     size = 0
     for row in rows:
@@ -131,7 +139,7 @@ def item_slices(benchmark: DataFrame, limit: int = PIECE_LIMIT) -> list[list[tup
 
 def leaks(documents: DataFrame, benchmark: DataFrame, rate: float = RATE, limit: int = PIECE_LIMIT) -> DataFrame:
     """(doc_id, item_id, edits): the test items that each document holds, with the least distance."""
-    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), plain(F.col("text")).alias("text")).where(F.length("text") >= MIN_ITEM // 2)
+    texts = documents.select(F.col("doc_id").cast("long").alias("doc_id"), plain(F.col("text")).alias("text")).where("text <> ''")
 
     def searcher(items):
         def run(batches):
