@@ -12,8 +12,9 @@ their content by an ``article`` or ``main`` element. The model never sees those
 they count as plain containers, so it carries over to pages without them.
 
 Edge cases: null or empty html gives empty text and no nodes; unclosed and stray tags are
-repaired like a browser does for the common cases; nesting deeper than any page's is kept
-(no recursion); null page_ids keep their row; without labelled pages all text outside
+repaired like a browser does for the common cases, in time that grows with the page's
+length; elements nested deeper than ``MAX_DEPTH`` become siblings; repeated rows are pages
+like others; an empty table gives no rows; null page_ids keep their row; without labelled pages all text outside
 scripts and styles is content.
 """
 
@@ -21,6 +22,7 @@ from __future__ import annotations
 
 import html as entities
 import re
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -28,7 +30,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 TRAIN_PAGES, STEPS, RATE, RIDGE = 200, 100, 0.5, 1e-3
-TOKEN = re.compile(r"<!--.*?(?:-->|$)|<(script|style|noscript|template)\b[^>]*>.*?(?:</\1\s*>|$)|<(/?)([a-zA-Z][a-zA-Z0-9]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>", re.S | re.I)
+TAG = re.compile(r"<(/?)([a-zA-Z][a-zA-Z0-9]*)")
+STOP = re.compile(r"[>\"']")
+RAW = {name: re.compile(rf"</{name}\s*>", re.I) for name in ("script", "style", "noscript", "template")}
+#: Elements below this depth become children of the last one above it, as in browsers.
+MAX_DEPTH = 512
 VOID = frozenset("area base br col embed hr img input link meta source track wbr".split())
 BLOCK = frozenset("p div ul ol li table tr td th h1 h2 h3 h4 h5 h6 article main section nav header footer aside form blockquote pre body html".split())
 GROUPS = {
@@ -41,51 +47,92 @@ NOISE = re.compile(r"\b(ad|ads|advert|banner|nav|menu|footer|sidebar|promo|cooki
 WIDTH = 26
 
 
+def tokens(page: str) -> Iterator[tuple[str, str, str]]:
+    """(kind, name or text, attributes) of a page; kinds are text, open and close. Reads every sign a bounded number of times.
+
+    Comments, scripts, styles and declarations are left out, unclosed ones to the end of the
+    page. Attribute values in quotes may hold ``>``; from the first tag on whose quotes
+    are never closed, quotes are not looked at. Without a further ``>`` the rest is text.
+    """
+    at, begin, n, last, quotes = 0, 0, len(page), page.rfind(">"), True
+    ends = {q: page.rfind(q) for q in "\"'"}
+    while 0 <= (at := page.find("<", at)) <= last:
+        if page.startswith("<!--", at):
+            stop = page.find("-->", at + 4)
+            end, token = n if stop < 0 else stop + 3, None
+        elif page.startswith(("<!", "<?"), at):
+            end, token = page.find(">", at) + 1, None
+        elif (tag := TAG.match(page, at)) is None:
+            at += 1
+            continue
+        else:
+            spot = tag.end()
+            end = page.find(">", spot) + 1
+            while quotes and (stop := STOP.search(page, spot)):
+                if stop[0] == ">":
+                    end = stop.end()
+                    break
+                if ends[stop[0]] <= stop.start():
+                    break
+                spot = page.find(stop[0], stop.end()) + 1
+            else:
+                quotes = False
+            if not end:
+                break
+            token = ("close" if tag[1] else "open", tag[2].lower(), page[tag.end() : end - 1])
+        if at > begin:
+            yield "text", page[begin:at], ""
+        if token is not None and token[0] == "open" and token[1] in RAW:
+            closing = RAW[token[1]].search(page, end)
+            end, token = closing.end() if closing else n, None
+        if token is not None:
+            yield token
+        at = begin = end
+    if begin < n:
+        yield "text", page[begin:], ""
+
+
 def parse(page: str) -> tuple[list[int], list[str], list[str], list[str]]:
     """(parents, tags, attributes, texts) of the DOM's nodes in document order; text nodes have tag ``#``."""
     parents, tags, attributes, texts = [-1], ["#root"], [""], [""]
     stack = [0]
+    #: Places in the stack of the open elements of each name, and of all block elements.
+    opened: dict[str, list[int]] = {}
+    blocks: list[int] = []
+
+    def close(depth: int) -> None:
+        for k in range(len(stack) - 1, depth - 1, -1):
+            name = tags[stack[k]]
+            opened[name].pop()
+            if name in BLOCK:
+                blocks.pop()
+        del stack[depth:]
 
-    def text(piece: str) -> None:
-        if piece.strip():
-            parents.append(stack[-1])
-            tags.append("#")
-            attributes.append("")
-            texts.append(" ".join(entities.unescape(piece).split()))
-
-    at = 0
-    for found in TOKEN.finditer(page):
-        if found.start() > at:
-            text(page[at : found.start()])
-        at = found.end()
-        name = found.group(3)
-        if not name:
+    for kind, name, attribute in tokens(page):
+        if kind == "text":
+            if name.strip():
+                parents.append(stack[-1])
+                tags.append("#")
+                attributes.append("")
+                texts.append(" ".join(entities.unescape(name).split()))
             continue
-        name = name.lower()
-        if found.group(2):
-            for k in range(len(stack) - 1, 0, -1):
-                if tags[stack[k]] == name:
-                    del stack[k:]
-                    break
-                if name not in BLOCK and tags[stack[k]] in BLOCK:
-                    break
+        if kind == "close":
+            if opened.get(name) and (name in BLOCK or not blocks or blocks[-1] < opened[name][-1]):
+                close(opened[name][-1])
             continue
-        if name == "p" or name in BLOCK:
-            for k in range(len(stack) - 1, 0, -1):
-                open_tag = tags[stack[k]]
-                if open_tag == "p" or (open_tag == name and name in ("li", "tr", "td", "th")):
-                    del stack[k:]
-                    break
-                if open_tag in BLOCK:
-                    break
+        if name in BLOCK and blocks:
+            open_tag = tags[stack[blocks[-1]]]
+            if open_tag == "p" or (open_tag == name and name in ("li", "tr", "td", "th")):
+                close(blocks[-1])
         parents.append(stack[-1])
         tags.append(name)
-        attributes.append(found.group(4) or "")
+        attributes.append(attribute)
         texts.append("")
-        if name not in VOID and not (found.group(4) or "").endswith("/"):
+        if name not in VOID and not attribute.endswith("/") and len(stack) < MAX_DEPTH:
+            opened.setdefault(name, []).append(len(stack))
+            if name in BLOCK:
+                blocks.append(len(stack))
             stack.append(len(parents) - 1)
-    if at < len(page):
-        text(page[at:])
     return parents, tags, attributes, texts
 
 
@@ -110,7 +157,7 @@ class Forest:
         for k in range(n):
             if parents[k] >= 0:
                 depth[k] = depth[parents[k]] + 1
-        self.levels = [np.flatnonzero(depth == d) for d in range(int(depth.max()) + 1)] if n else []
+        self.levels = np.split(np.argsort(depth, kind="stable"), np.cumsum(np.bincount(depth))[:-1]) if n else []
         length = np.array([len(x) for x in texts], float)
         stops = np.array([x.count(".") + x.count(",") + x.count("!") + x.count("?") for x in texts], float)
         linked = np.where(group == 2, 1.0, 0.0)
@@ -204,11 +251,16 @@ Model = tuple[np.ndarray, np.ndarray]
 
 
 def fit(pages: DataFrame, limit: int = TRAIN_PAGES) -> Model | None:
-    """Model from at most ``limit`` labelled pages, those with the least scrambled page_id."""
-    marked = pages.select("page_id", "html").where(F.col("html").rlike("(?i)<(article|main)[ >]"))
-    rows = marked.orderBy(F.xxhash64("page_id"), "page_id").limit(limit).toLocalIterator()
-    texts = [r.html for r in rows]
-    return fit_forest(Forest(texts)) if texts else None
+    """Model from at most ``limit`` labelled pages, those with the least scrambled page_id (null ids are left out).
+
+    Ids are chosen first, so that no other page than the chosen ones is carried anywhere.
+    """
+    marked = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("html").cast("string").alias("html")).where(F.col("html").rlike("(?i)<(article|main)[ >]") & F.col("page_id").isNotNull())
+    order = F.xxhash64("page_id"), F.col("page_id")
+    ids = [r.page_id for r in marked.select("page_id").orderBy(*order).limit(limit).collect()]
+    chosen = pages.sparkSession.createDataFrame([(i,) for i in ids], "page_id long")
+    rows = marked.join(F.broadcast(chosen.distinct()), "page_id", "left_semi").orderBy(*order, F.xxhash64("html"), "html").limit(limit).collect()
+    return fit_forest(Forest([r.html for r in rows])) if rows else None
 
 
 def extract_texts(pages: list[str], model: Model | None) -> list[tuple[str, int, int]]:
