@@ -31,17 +31,19 @@ from pyspark.sql import functions as F
 VOCABULARY = os.environ.get("ELIMSPARK_TOKENIZERS", "/opt/tokenizers") + "/piece_bpe_32k.model"
 TRAIN_DOCS, ROUNDS, SMOOTH, MOST_CHOSEN = 150, 4, 1e-9, 200_000
 MARK = "▁"
-#: Longer words are scored in parts of this many signs: no piece is longer than MAX_PIECE.
-MAX_PIECE = 12
+#: Signs of the words that are scored at once; bounds a step's memory (a longer word is a step of its own).
+STEP_SIGNS = 1 << 20
 
 
 def vocabulary(path: str = VOCABULARY) -> list[str]:
-    """Pieces of at most MAX_PIECE signs, lower case, without control and byte pieces."""
+    """All pieces, lower case, without control and byte pieces."""
     import sentencepiece
 
+    if not os.path.exists(path):
+        raise FileNotFoundError(f"{path}: give the path of a sentencepiece model")
     model = sentencepiece.SentencePieceProcessor(model_file=path)
     pieces = {model.id_to_piece(k).lower() for k in range(model.get_piece_size()) if not (model.is_control(k) or model.is_unknown(k) or model.is_byte(k))}
-    return sorted(p for p in pieces if 0 < len(p) <= MAX_PIECE)
+    return sorted(p for p in pieces if p)
 
 
 class Lattice:
@@ -51,6 +53,7 @@ class Lattice:
 
     def __init__(self, pieces: list[str]):
         self.pieces = pieces
+        self.longest = max((len(p) for p in pieces), default=1)
         self.by_length: dict[int, tuple[np.ndarray, np.ndarray]] = {}
         for n in sorted({len(p) for p in pieces}):
             ids = [k for k, p in enumerate(pieces) if len(p) == n]
@@ -68,6 +71,8 @@ class Lattice:
 
     def find(self, codes: np.ndarray, start: int, n: int) -> np.ndarray:
         """Piece of each row's signs start .. start + n, or -1; the hash is 64 bits wide."""
+        if n not in self.by_length:
+            return np.full(len(codes), -1)
         keys, ids = self.by_length[n]
         want = self.hash_rows(codes[:, start : start + n])
         at = np.minimum(np.searchsorted(keys, want), len(keys) - 1)
@@ -75,14 +80,30 @@ class Lattice:
 
     def edges(self, codes: np.ndarray) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
         """(start, end, rows, pieces) by rising end; unknown single signs have piece -1."""
-        length = codes.shape[1]
-        for end in range(1, length + 1):
-            for n in range(1, min(MAX_PIECE, end) + 1):
-                if n in self.by_length:
-                    found = self.find(codes, end - n, n)
-                    rows = np.flatnonzero(found >= 0) if n > 1 else np.arange(len(codes))
-                    if len(rows):
-                        yield end - n, end, rows, found[rows]
+        count, length = codes.shape
+        if count >= 16:
+            for end in range(1, length + 1):
+                for n in range(1, min(self.longest, end) + 1):
+                    if n in self.by_length or n == 1:
+                        found = self.find(codes, end - n, n)
+                        rows = np.flatnonzero(found >= 0) if n > 1 else np.arange(count)
+                        if len(rows):
+                            yield end - n, end, rows, found[rows]
+            return
+        # Few words, maybe very long ones: all places of one length at once, one word at a time.
+        hits: list[list[tuple[int, int, int, int]]] = []
+        for row in range(count):
+            for n in range(1, min(self.longest, length) + 1):
+                if n in self.by_length or n == 1:
+                    found = self.find(np.lib.stride_tricks.sliding_window_view(codes[row], n), 0, n)
+                    at = np.flatnonzero(found >= 0) if n > 1 else np.arange(len(found))
+                    hits.append(np.stack([at + n, np.full(len(at), n), np.full(len(at), row), found[at]], 1))
+        flat = np.concatenate(hits) if hits else np.zeros((0, 4), np.int64)
+        flat = flat[np.lexsort((flat[:, 2], flat[:, 1], flat[:, 0]))]
+        begins = np.flatnonzero(np.concatenate([[True], (flat[1:, :2] != flat[:-1, :2]).any(1)])) if len(flat) else []
+        for a, b in zip(begins, [*begins[1:], len(flat)]):
+            end, n = int(flat[a, 0]), int(flat[a, 1])
+            yield end - n, end, flat[a:b, 2], flat[a:b, 3]
 
 
 def by_length(words: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -90,7 +111,8 @@ def by_length(words: list[str]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     groups: dict[int, list[int]] = {}
     for k, word in enumerate(words):
         groups.setdefault(len(word), []).append(k)
-    for length, places in groups.items():
+    steps = ((length, all_places[a : a + max(1, STEP_SIGNS // (length + 1))]) for length, all_places in groups.items() for a in range(0, len(all_places), max(1, STEP_SIGNS // (length + 1))))
+    for length, places in steps:
         flat = "".join(MARK + words[k] for k in places).encode("utf-32-le", "surrogatepass")
         yield np.array(places), np.frombuffer(flat, np.uint32).reshape(len(places), length + 1).astype(np.uint64)
 
@@ -109,21 +131,24 @@ class Model:
             out[places] = self.forward(codes)[1]
         return out
 
-    def forward(self, codes: np.ndarray) -> tuple[list[np.ndarray], np.ndarray]:
-        """Scaled forward sums after each sign, and the log of the last one.
+    def forward(self, codes: np.ndarray) -> tuple[list[np.ndarray | None], np.ndarray]:
+        """Scaled forward sums after each sign (those that a piece can still start from), and the log of the last one.
 
         After each sign the sums that later pieces can still start from are divided by
         the newest one, so no length of word underflows.
         """
         count, length = codes.shape
-        sums: list[np.ndarray] = [np.ones((count, len(self.languages)))]
+        sums: list[np.ndarray | None] = [np.ones((count, len(self.languages)))]
         logs = np.zeros((count, len(self.languages)))
         current, at = np.zeros_like(logs), 1
 
         def close() -> None:
             nonlocal current
             scale = np.maximum(current, 1e-300)
-            for k in range(max(0, len(sums) - MAX_PIECE), len(sums)):
+            far = len(sums) - self.lattice.longest
+            if far > 0:
+                sums[far - 1] = None
+            for k in range(max(0, far), len(sums)):
                 sums[k] = sums[k] / scale
             sums.append(np.ones_like(current))
             np.add(logs, np.log(scale), out=logs)
@@ -140,6 +165,31 @@ class Model:
         return sums, logs
 
 
+def posteriors(edges: list, length: int, count: int, table: np.ndarray, longest: int) -> Iterator[tuple[np.ndarray, tuple[np.ndarray, np.ndarray]]]:
+    """(pieces, (rows, chance that the row's segmentation uses that piece there)) of every edge of words of one length.
+
+    Logs of forward sums, and the chance that a place is a border, which falls out of them
+    from the end on: nothing underflows, however long a word is.
+    """
+    log = np.zeros((length + 1, count))
+    at = 0
+    ends = [*np.flatnonzero(np.diff([e for _, e, _, _ in edges])) + 1, len(edges)] if edges else []
+    for stop in ends:
+        end = edges[at][1]
+        top = log[max(0, end - longest) : end].max(0)
+        total = np.zeros(count)
+        for s, _, r, p in edges[at:stop]:
+            total[r] += np.exp(log[s, r] - top[r]) * table[p]
+        log[end] = np.log(total) + top
+        at = stop
+    border = np.zeros((length + 1, count))
+    border[length] = 1.0
+    for s, e, r, p in sorted(edges, key=lambda x: -x[1]):
+        share = border[e, r] * np.exp(log[s, r] - log[e, r]) * table[p]
+        border[s, r] += share
+        yield p, (r, share)
+
+
 def train(pieces: list[str], counts: dict[str, Counter], rounds: int = ROUNDS) -> Model:
     """Expectation maximisation per language on word counts."""
     languages = sorted(counts)
@@ -149,35 +199,24 @@ def train(pieces: list[str], counts: dict[str, Counter], rounds: int = ROUNDS) -
         weight = np.array([counts[language][w] for w in words], float)
         lattice = Lattice(pieces)
         probability = np.array([1.0 / len(pieces)] * len(pieces))
-        groups = [(weight[places], codes.shape[1], len(places), [(s, e, r, p) for s, e, r, p in lattice.edges(codes) if (p >= 0).any()]) for places, codes in by_length(words)]
+        groups = [(weight[places], codes.shape[1], len(places), list(lattice.edges(codes))) for places, codes in by_length(words)]
         for _ in range(rounds):
             expected = np.zeros(len(pieces) + 1)
             table = np.append(probability, SMOOTH)
             for mass, length, count, edges in groups:
-                ahead = np.zeros((length + 1, count))
-                ahead[0] = 1.0
-                for s, e, r, p in edges:
-                    ahead[e, r] += ahead[s, r] * table[p]
-                back = np.zeros((length + 1, count))
-                back[length] = 1.0
-                for s, e, r, p in sorted(edges, key=lambda x: -x[1]):
-                    back[s, r] += back[e, r] * table[p]
-                whole = ahead[length]
-                good = whole > 0
-                share = np.where(good, mass / np.where(good, whole, 1.0), 0.0)
-                for s, e, r, p in edges:
-                    expected += np.bincount(p % len(expected), ahead[s, r] * table[p] * back[e, r] * share[r], minlength=len(expected))
+                for piece, share in posteriors(edges, length, count, table, lattice.longest):
+                    expected += np.bincount(piece % len(expected), share[1] * mass[share[0]], minlength=len(expected))
             known = expected[:-1]
             probability = (known + SMOOTH * known.sum()) / (known.sum() * (1 + SMOOTH * len(pieces))) if known.sum() else probability
         columns.append(np.maximum(probability, SMOOTH))
     return Model(pieces, languages, np.array(columns).T.reshape(len(pieces), len(languages)))
 
 
-_LETTERS = re.compile(r"[^\W\d_]{1,256}")
+_LETTERS = re.compile(r"[^\W\d_]+")
 
 
 def words_of(text: str) -> list[str]:
-    """Lower-case runs of letters; very long ones in parts of 256, to bound a batch's memory."""
+    """Lower-case runs of letters, whole ones."""
     return _LETTERS.findall(text.lower())
 
 
