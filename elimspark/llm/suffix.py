@@ -189,6 +189,12 @@ def deep_shallow(text: np.ndarray, starts: np.ndarray, length: int = LENGTH, sha
     stamp = np.zeros(len(live), U64)
     for k in range(shallow, length):
         stamp += mix64(text[starts[order[live]] + k].astype(U64) + U64(1)) * power[k]
+    # A stamp only proposes: tails of one stamp are compared word by word, and told apart if they differ.
+    places = starts[order[live]]
+    _, first, inverse = np.unique(np.stack([group.astype(U64), stamp]), axis=1, return_index=True, return_inverse=True)
+    lead = places[first[inverse.ravel()]]
+    if any((text[places + k] != text[lead + k]).any() for k in range(shallow, length)):
+        stamp = np.unique(np.stack([text[places + k] for k in range(shallow, length)], 1), axis=0, return_inverse=True)[1].ravel().astype(U64)
     ends = np.append(begins[1:], len(live))
     equal = np.minimum.reduceat(stamp, begins) == np.maximum.reduceat(stamp, begins)
     inner = np.ones(len(live), bool)
