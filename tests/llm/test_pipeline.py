@@ -32,7 +32,7 @@ def test_stages_and_run(spark):
     import re
 
     plain = lambda t: re.sub(r"[\W_]+", " ", t.lower()).strip()
-    pieces = decontam.Pieces([(i, plain(t)) for i, t in items if len(plain(t)) >= decontam.MIN_ITEM])
+    pieces = decontam.Pieces([(i, plain(t)) for i, t in items if plain(t)])
     assert sorted(r.doc_id for r in after) == sorted(r.doc_id for r in before if not pieces.search(plain(r.text)))
 
     before, after = stage["mixing"]
@@ -57,3 +57,30 @@ def test_queries_match_their_sql(spark):
         columns = sorted(frame.columns)
         want = con.execute(f"select {', '.join(columns)} from ({sql})").fetchall()
         assert sorted(map(tuple, frame.select(*columns).collect()), key=str) == sorted(want, key=str), name
+
+
+ODD = [(None, "alpha beta gamma delta", "en", None), (None, None, None, None), (1, None, "en", "s1"), (2, "", None, "s2"), (3, " \n\t ", "en", "s1"), (4, "é" * 200_000, "fr", "s1"), (5, "one", "en", "s1"), (5, "one", "en", "s1"), (6, "one", "en", "s2"), (7, "x " * 3000, "en", "s1"), (8, "x " * 3000, "en", "s2"), (9, "stupid idiot moron! " * 5, "en", "s3")]
+
+
+def test_stages_take_odd_rows_empty_tables_and_clashing_columns(spark, docs):
+    """Each stage keeps the columns of its input and doesn't crash; what it drops is told by its docstring."""
+    names = ["copy", "shard", "row", "__plain", "toxic", "group_id", "size", "key"]
+    frame = docs(ODD, extra=names)
+    for name, function in cp.STAGES:
+        got = function(spark, frame, FOLDER)
+        rows = got.collect()
+        ids = Counter(r.doc_id for r in rows)
+        assert function(spark, frame.limit(0), FOLDER).count() == 0, name
+        if name == "sharding":
+            assert ids == Counter(r[0] for r in ODD)
+            continue
+        assert got.columns == frame.columns, name
+        if name == "toxicity":
+            assert ids == Counter(r[0] for r in ODD if r[0] != 9)
+        elif name == "near_duplicates":
+            # Of equal texts and of rows that share an id one stays; rows without an id or a word all stay.
+            assert ids == Counter({None: 2, 1: 1, 2: 1, 3: 1, 4: 1, 5: 1, 7: 1, 9: 1})
+        elif name == "decontamination":
+            assert ids == Counter(r[0] for r in ODD)
+        else:
+            assert abs(len(rows) - len(ODD)) <= 4
