@@ -90,7 +90,7 @@ def batch_widths(edges: DataFrame, options: Options | None = None, preprocess: b
             run = Run(graph.name, graph.n, graph.m, 0, None, bounds.mmw(graph), status="too_large")
         else:
             try:
-                run = local.solve(graph, options) if preprocess else local.sequential(graph, options)
+                run = local.solve(graph, options) if preprocess else Walk(graph, options).width()
             except LevelTooWide:
                 run = Run(graph.name, graph.n, graph.m, 0, None, bounds.mmw(graph), status="deferred", opts=options.json())
         return [tuple(getattr(run, f) for f in RUN_FIELDS[1:])]

@@ -41,7 +41,7 @@ def table_graphs(spark: SparkSession, folder: str) -> list[Graph]:
 
 
 def anchors() -> list[Graph]:
-    return [named.queen(5), named.queen(6), named.queen(7), named.mycielski(4), named.mcgee()]
+    return [named.queen(5), named.queen(6), named.queen(7), named.mycielski(4), named.mcgee(), named.unitary_polar()]
 
 
 def general(spark: SparkSession, folder: str, options: Options | None = None) -> Iterator[Row]:
@@ -80,10 +80,12 @@ def repeated(jobs: dict[tuple, Callable[[], float]], times: int = 4, seed: int =
 
 
 def work_size(spark: SparkSession, folder: str) -> Iterator[Row]:
-    g = table_graphs(spark, folder)[4]
-    jobs = {(tier, rows): (lambda t=tier, r=rows: Walk(g, Options(adjacency=t, batch_rows=r, local_limit=20_000), spark).width().seconds) for tier in ("literal", "broadcast") for rows in (1024, 4096, 16_384)}
-    for (tier, rows), (mean, spread) in repeated(jobs).items():
-        yield {"graph": g.name, "tier": tier, "batch_rows": rows, "mean_sec": round(mean, 3), "deviation": round(spread, 3)}
+    """Blocks of states on the driver's processes, and by adjacency tier on the cluster; mean of four runs in random order."""
+    graphs = [named.queen(7), named.unitary_polar(), named.mcgee()]
+    jobs = {(g.name, "driver", rows): (lambda g=g, r=rows: Walk(g, Options(batch_rows=r), spark).width().seconds) for g in graphs for rows in (1024, 4096, 8192, 32_768)}
+    jobs |= {("queen6_6", tier, rows): (lambda t=tier, r=rows: Walk(named.queen(6), Options(adjacency=t, batch_rows=r, local_limit=4_000), spark).width().seconds) for tier in ("literal", "broadcast", "join") for rows in (1024, 8192)}
+    for (name, tier, rows), (mean, spread) in repeated(jobs).items():
+        yield {"graph": name, "tier": tier, "batch_rows": rows, "mean_sec": round(mean, 3), "deviation": round(spread, 3)}
 
 
 def contraction(spark: SparkSession, folder: str) -> Iterator[Row]:
@@ -96,10 +98,10 @@ def contraction(spark: SparkSession, folder: str) -> Iterator[Row]:
 
 
 def loop_shapes(spark: SparkSession, folder: str) -> Iterator[Row]:
-    for g, k in ((table_graphs(spark, folder)[5], 8), (named.queen(5), 18), (named.queen(6), 25)):
+    for g, k, level in ((table_graphs(spark, folder)[5], 8, None), (named.queen(5), 18, None), (named.queen(6), 25, None), (named.queen(7), 35, 2), (named.unitary_polar(), 53, 2)):
         keep: dict = {}
-        Walk(g, Options()).decide(k, keep)
-        level = len(keep) // 2
+        Walk(g, Options()).decide(k, keep, 1, level)
+        level = len(keep) // 2 if level is None else level
         sets = [mask_of(s) for s in states(keep[level])]
         yield {"graph": g.name, "states": len(sets)} | measures.lockstep_cost(g, sets, measures.SHAPES)
 
@@ -138,8 +140,9 @@ def methods(spark: SparkSession, folder: str) -> Iterator[Row]:
     for g in (table_graphs(spark, folder)[3], table_graphs(spark, folder)[5]):
         width, visited = local.subset_dp(g)
         best, expanded = local.branch_and_bound(g)
+        positive, met = local.positive_instances(g)
         run = local.sequential(g)
-        yield {"graph": g.name, "deepening_states": run.explored, "subset_states": visited, "branch_states": expanded, "width": run.width, "agree": run.width == width == best, "lower": bounds.mmw(g, "second"), "greedy": bounds.greedy_order(g)[0]}
+        yield {"graph": g.name, "deepening_states": run.explored, "subset_states": visited, "branch_states": expanded, "feasible_parts": met, "width": run.width, "agree": run.width == width == best == positive, "lower": bounds.mmw(g, "second"), "greedy": bounds.greedy_order(g)[0]}
 
 
 def order_recovery(spark: SparkSession, folder: str) -> Iterator[Row]:

@@ -89,9 +89,77 @@ class elimination_orders:  # noqa: N801
         yield from ((k, v, d) for k, (v, d) in enumerate(zip(order, orders.order_degrees(graph, order))))
 
 
+class _Rows:
+    """Collects the edges of one partition of a table argument; rows have u and v."""
+
+    def __init__(self):
+        self.name, self.edges = None, []
+
+    def add(self, row) -> None:
+        self.name = row["graph_id"]
+        self.edges.append((row["u"], row["v"]))
+
+    def graph(self) -> Graph:
+        return Graph.of(max((v for e in self.edges for v in e), default=-1) + 1, self.edges, str(self.name))
+
+
+@F.udtf(returnType=T.StructType([T.StructField("graph_id", T.StringType()), T.StructField("k", T.IntegerType()), T.StructField("level", T.IntegerType()), T.StructField("expanded", T.LongType()), T.StructField("kept", T.LongType())]))
+class table_levels:  # noqa: N801
+    """Level counts of each graph of an edge table for one target: table_levels(TABLE(edges) PARTITION BY (graph_id), 3)."""
+
+    def __init__(self):
+        self.rows, self.k = _Rows(), 0
+
+    def eval(self, row: T.Row, k: int):
+        self.rows.add(row)
+        self.k = k
+
+    def terminate(self):
+        for x in Walk(self.rows.graph(), Options()).decide(self.k)[1]:
+            yield self.rows.name, x.k, x.level, x.expanded, x.kept
+
+
+@F.udtf(returnType=T.StructType([T.StructField("graph_id", T.StringType()), T.StructField("pos", T.IntegerType()), T.StructField("vid", T.IntegerType()), T.StructField("deg", T.IntegerType())]))
+class table_orders:  # noqa: N801
+    """An order of least width of each graph of an edge table: table_orders(TABLE(edges) PARTITION BY graph_id)."""
+
+    def __init__(self):
+        self.rows = _Rows()
+
+    def eval(self, row: T.Row):
+        self.rows.add(row)
+
+    def terminate(self):
+        graph = self.rows.graph()
+        _, order = orders.elimination_order(graph)
+        yield from ((self.rows.name, k, v, d) for k, (v, d) in enumerate(zip(order, orders.order_degrees(graph, order))))
+
+
+def _row_degrees(masks: pd.Series, s: pd.Series, v: pd.Series) -> np.ndarray:
+    """Degree of each row's vertex in its own graph (at most 64 vertices) after its own set is removed."""
+    size = max((len(m) for m in masks), default=0)
+    table = np.zeros((size, 1, len(s)), np.uint64)
+    for k, m in enumerate(masks):
+        table[: len(m), 0, k] = np.asarray(m, np.int64).view(np.uint64)
+    return kernels.degrees_remove(s.to_numpy(np.int64).view(np.uint64)[None], table)[v.to_numpy(np.int64), np.arange(len(s))]
+
+
+@F.pandas_udf(T.IntegerType())
+def degree_of(masks: pd.Series, s: pd.Series, v: pd.Series) -> pd.Series:
+    return pd.Series(_row_degrees(masks, s, v).astype(np.int32))
+
+
+@F.pandas_udf(T.BooleanType())
+def is_feasible(masks: pd.Series, s: pd.Series, v: pd.Series, k: pd.Series) -> pd.Series:
+    outside = s.to_numpy(np.int64).view(np.uint64) >> v.to_numpy(np.uint64) & np.uint64(1) == 0
+    return pd.Series((_row_degrees(masks, s, v) <= k.to_numpy(np.int64)) & outside)
+
+
 def register(spark: SparkSession) -> None:
     """Make the functions known to SQL of a session."""
     spark.udf.register("local_treewidth", local_treewidth)
     spark.udf.register("edges_to_masks", edges_to_masks)
-    for name, table in (("named_graph", named_graph), ("treewidth_levels", treewidth_levels), ("elimination_orders", elimination_orders)):
+    spark.udf.register("degree_of", degree_of)
+    spark.udf.register("is_feasible", is_feasible)
+    for name, table in (("named_graph", named_graph), ("treewidth_levels", treewidth_levels), ("elimination_orders", elimination_orders), ("table_levels", table_levels), ("table_orders", table_orders)):
         spark.udtf.register(name, table)

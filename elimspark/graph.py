@@ -14,6 +14,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .storage import LevelStore
+
 #: Vertices of the largest graph that a search takes; larger ones are split or refused.
 MAX_VERTICES = 256
 
@@ -79,22 +81,43 @@ def mask_of(vertices: Iterable[int]) -> int:
     return out
 
 
-def normalize_edges(raw: DataFrame, a: str = "a", b: str = "b", graph: Column | None = None) -> tuple[DataFrame, DataFrame]:
+def normalize_edges(raw: DataFrame, a: str = "a", b: str = "b", graph: Column | None = None, bounded: bool = False) -> tuple[DataFrame, DataFrame]:
     """(edges, vertices) of a raw pair table: loops, repeats, directions and nulls removed, labels ranked per graph.
 
-    Numeric labels are ranked as numbers, text as text. ``graph`` names each row's graph.
+    Numeric labels are ranked as numbers, text as text. ``graph`` names each row's graph;
+    without it the table is one graph, whose labels are ranked by all tasks unless ``bounded``
+    tells that they are few whatever the size of the tables.
     """
+    store = None if graph is not None or bounded else LevelStore(raw.sparkSession, "labels")
     graph = F.lit("g") if graph is None else graph
     pairs = raw.select(graph.cast("string").alias("graph_id"), F.least(a, b).alias("a"), F.greatest(a, b).alias("b"))
     pairs = pairs.where("graph_id is not null and a is not null and b is not null and a <> b").distinct()
+    if store is not None:
+        pairs = store.write(pairs, 0, 0)
     ends = pairs.select("graph_id", F.explode(F.array("a", "b")).alias("label")).distinct()
-    vertices = ends.withColumn("vid", F.row_number().over(Window.partitionBy("graph_id").orderBy("label")) - 1)
+    vertices = ranked(ends, store) if store is not None else ends.withColumn("vid", F.row_number().over(Window.partitionBy("graph_id").orderBy("label")) - 1)
     left = vertices.select("graph_id", F.col("label").alias("a"), F.col("vid").alias("u"))
     right = vertices.select("graph_id", F.col("label").alias("b"), F.col("vid").alias("v"))
     edges = pairs.join(left, ["graph_id", "a"]).join(right, ["graph_id", "b"]).select("graph_id", "u", "v")
     return edges, vertices.select("graph_id", "vid", F.col("label").cast("string").alias("label"))
 
 
+def ranked(ends: DataFrame, store: LevelStore) -> DataFrame:
+    """Adds ``vid``, the rank of each (distinct) label of one graph of any size.
+
+    Ranges of labels are ranked by tasks, then shifted; they are written, so that counting
+    and ranking see the same ones.
+    """
+    spark = ends.sparkSession
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
+    ranges = store.write(ends.repartitionByRange(parts, "label").withColumn("part", F.spark_partition_id()), 0, 1)
+    sizes = ranges.groupBy("part").agg(F.count("*").alias("n"))
+    before = F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    starts = F.broadcast(sizes.select("part", before.alias("before")))
+    place = F.row_number().over(Window.partitionBy("part").orderBy("label")) - 1
+    return ranges.withColumn("place", place).join(starts, "part").select("graph_id", "label", (F.col("before") + F.col("place")).cast("int").alias("vid"))
+
+
 def graph_from_rows(rows: Iterable, name: str = "g", n: int | None = None) -> Graph:
     pairs = [(int(r.u), int(r.v)) for r in rows]
     size = max((max(p) for p in pairs), default=-1) + 1

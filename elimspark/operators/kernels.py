@@ -18,7 +18,6 @@ from __future__ import annotations
 
 import os
 from concurrent.futures import ThreadPoolExecutor
-from functools import lru_cache
 
 import numpy as np
 
@@ -164,14 +163,22 @@ def degrees_remove(sets: np.ndarray, table: np.ndarray, skip: int = 0) -> np.nda
     return out
 
 
-@lru_cache(maxsize=64)
+#: The last graphs that were renumbered; a plain dictionary, as cached functions don't travel by value.
+_NUMBERED: dict[tuple[bytes, int], tuple[list[int], np.ndarray]] = {}
+
+
 def _numbered(blob: bytes, n: int, skip: int) -> tuple[list[int], np.ndarray]:
     """(vertices that need a row, masks of these rows) with the vertices renumbered: those with a row have the low bits."""
+    if (blob, skip) in _NUMBERED:
+        return _NUMBERED[blob, skip]
+    if len(_NUMBERED) >= 8:
+        _NUMBERED.clear()
     masks = np.frombuffer(blob, U64).tolist()
     left = sorted(range(n), key=lambda v: (skip >> v & 1, v))
     rows = [v for v in left if not skip >> v & 1]
     width = next(w for w in (16, 32, 64) if n <= w)
-    return rows, np.array([[sum(1 << i for i, u in enumerate(left) if masks[v] >> u & 1)] for v in rows], getattr(np, f"uint{width}"))
+    _NUMBERED[blob, skip] = rows, np.array([[sum(1 << i for i, u in enumerate(left) if masks[v] >> u & 1)] for v in rows], getattr(np, f"uint{width}"))
+    return _NUMBERED[blob, skip]
 
 
 def degrees_prefix(sets: np.ndarray, table: np.ndarray, skip: int = 0) -> np.ndarray:

@@ -13,11 +13,11 @@ from itertools import combinations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..graph import Graph, bits, mask_of
+from ..graph import MAX_VERTICES, Graph, bits, mask_of
 from ..storage import LevelStore
 
-#: Triples are tried up to this many vertices: a search for speed only, results are the same without.
-TRIPLE_LIMIT = 64
+#: Triples are tried on every piece that a search can take; larger pieces are refused whatever their triples are.
+TRIPLE_LIMIT = MAX_VERTICES
 
 
 def parts_without(graph: Graph, removed: int) -> list[int]:

@@ -23,9 +23,10 @@ vt AS (SELECT g, x, row_number() OVER (PARTITION BY g ORDER BY x) - 1 AS id FROM
 ed AS (SELECT pr.g AS graph_id, CAST(l.id AS BIGINT) AS u, CAST(r.id AS BIGINT) AS v FROM pr JOIN vt l ON l.g = pr.g AND l.x = pr.a JOIN vt r ON r.g = pr.g AND r.x = pr.b)"""
 
 
-def strongest(pairs: str, top: int) -> str:
-    return f"""SELECT 'g' AS g, a, b FROM (
-  SELECT a, b, row_number() OVER (PARTITION BY a ORDER BY w DESC, b) AS rk FROM (SELECT a, b, w FROM ({pairs}) UNION ALL SELECT b, a, w FROM ({pairs}))
+def strongest(pairs: str, top: int, graph: str = "'g'") -> str:
+    g = "g, " if graph != "'g'" else ""
+    return f"""SELECT {graph} AS g, a, b FROM (
+  SELECT {g}a, b, row_number() OVER (PARTITION BY {g}a ORDER BY w DESC, b) AS rk FROM (SELECT {g}a, b, w FROM ({pairs}) UNION ALL SELECT {g}b, a, w FROM ({pairs}))
 ) WHERE rk <= {top}"""
 
 
@@ -61,6 +62,30 @@ def letter(lang: str, count: int) -> str:
       WHERE x <> y GROUP BY 1, 2 ORDER BY w DESC, a, b LIMIT {count})"""
 
 
+def letters(top: int) -> str:
+    """Per language, each letter and its most frequent neighbours."""
+    return strongest(
+        """SELECT g, least(x, y) AS a, greatest(x, y) AS b, count(*) AS w FROM (
+          SELECT g, run[i] AS x, run[i + 1] AS y FROM (
+            SELECT g, run, unnest(range(1, length(run))) AS i FROM (SELECT coalesce(lang, 'null') AS g, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS run FROM documents)))
+        WHERE x <> y GROUP BY 1, 2, 3""",
+        top,
+        "g",
+    )
+
+
+def months(top: int) -> str:
+    """Months of orders and of their shipments."""
+    return strongest(
+        """SELECT least(x, y) AS a, greatest(x, y) AS b, count(*) AS w FROM (
+          SELECT date_part('month', o_orderdate) AS x, date_part('month', l_shipdate) AS y FROM orders JOIN lineitem ON l_orderkey = o_orderkey)
+        WHERE x <> y GROUP BY 1, 2""",
+        top,
+    )
+
+
+STATUS = "SELECT 'g' AS g, 's' || o_orderstatus AS a, 'p' || o_orderpriority AS b FROM orders"
+SEGMENT = "SELECT 'g' AS g, 's' || c_mktsegment AS a, 'p' || o_orderpriority AS b FROM orders JOIN customer ON o_custkey = c_custkey"
 LETTERS = """SELECT DISTINCT g, run[i] AS a, run[i + 1] AS b FROM (
   SELECT g, run, unnest(range(1, length(run))) AS i FROM (SELECT coalesce(lang, 'null') AS g, unnest(regexp_extract_all(lower(text), '[a-z]+')) AS run FROM documents))"""
 
@@ -101,25 +126,37 @@ def edges(pairs: str) -> str:
 REMOVE = f"list_transform(r.a, lambda m, i: CASE WHEN i = t.x + 1 THEN CAST(0 AS UBIGINT) WHEN (m >> t.x) & 1 = 1 THEN (m | r.a[t.x + 1]) & ({ALL} - (({bit('t.x')}) | {bit('CAST(i - 1 AS BIGINT)')})) ELSE m END)"
 
 
-def walk(pairs: str, ks: str, clique: str = "triangle", early: bool = True) -> str:
-    """CTEs with r(graph_id, k, s, a): every feasible set of every target; nn(graph_id, n); cl(graph_id, c)."""
-    skip = "SELECT graph_id, CAST(0 AS UBIGINT) AS c FROM nn"
-    if clique == "triangle":
-        skip = f"""SELECT nn.graph_id, coalesce(z.c, CAST(0 AS UBIGINT)) AS c FROM nn LEFT JOIN (
-          SELECT graph_id, arg_min(c, q) AS c FROM (SELECT x.graph_id, {bit('x.u')} | {bit('x.v')} | {bit('y.v')} AS c, [x.u, x.v, y.v] AS q
-            FROM ed x JOIN ed y ON x.graph_id = y.graph_id AND x.v = y.u JOIN ed z ON z.graph_id = x.graph_id AND z.u = x.u AND z.v = y.v) GROUP BY graph_id) z ON z.graph_id = nn.graph_id"""
-    depth = "nn.n - r.k - 1" if early else "nn.n"
+#: Every clique of every graph, grown by rising vertices, and the first largest one; cl(graph_id, c, size).
+CLIQUES = f"""ng AS (SELECT graph_id, u, bit_or({bit('v')}) AS m FROM bo GROUP BY graph_id, u),
+cq AS (SELECT graph_id, [u] AS q, {bit('u')} AS c, u AS top, m FROM ng UNION ALL
+  SELECT cq.graph_id, list_append(cq.q, ng.u), cq.c | {bit('ng.u')}, ng.u, cq.m & ng.m FROM cq JOIN ng ON ng.graph_id = cq.graph_id AND ng.u > cq.top AND (cq.m >> ng.u) & 1 = 1),
+cl AS (SELECT graph_id, c, CAST(len(q) AS BIGINT) AS size FROM (SELECT *, row_number() OVER (PARTITION BY graph_id ORDER BY len(q) DESC, q) AS rk FROM cq) WHERE rk = 1)"""
+NO_CLIQUE = "cl AS (SELECT graph_id, CAST(0 AS UBIGINT) AS c, CAST(0 AS BIGINT) AS size FROM nn)"
+
+
+def base(pairs: str, clique: str = "max") -> str:
+    """CTEs bo (both directions), nn(graph_id, n), ad(graph_id, a: masks by vertex), cl(graph_id, c, size)."""
     return f"""{normalized(pairs)},
 bo AS (SELECT graph_id, u, v FROM ed UNION ALL SELECT graph_id, v, u FROM ed),
 nn AS (SELECT graph_id, max(u) + 1 AS n FROM bo GROUP BY graph_id),
 ad AS (SELECT graph_id, list(m ORDER BY u) AS a FROM (SELECT graph_id, u, bit_or({bit('v')}) AS m FROM bo GROUP BY graph_id, u) GROUP BY graph_id),
-cl AS ({skip}),
+{CLIQUES if clique == "max" else NO_CLIQUE}"""
+
+
+def grow(more: str = "") -> str:
+    """Feasible supersets by one vertex of the rows of r (graph_id, k, s, a)."""
+    return f"""FROM r JOIN nn ON nn.graph_id = r.graph_id JOIN cl ON cl.graph_id = r.graph_id, (SELECT unnest(range(0, 64)) AS x) t
+  WHERE t.x < nn.n AND ((r.s | cl.c) >> t.x) & 1 = 0 AND bit_count(r.a[t.x + 1]) <= r.k{more}"""
+
+
+def walk(pairs: str, ks: str, clique: str = "max", early: bool = True) -> str:
+    """CTEs with r(graph_id, k, s, a): every feasible set of every target; nn(graph_id, n); cl(graph_id, c, size)."""
+    depth = "nn.n - r.k - 1" if early else "nn.n"
+    return f"""{base(pairs, clique)},
 r AS (
   SELECT ad.graph_id, CAST(k.k AS BIGINT) AS k, CAST(0 AS UBIGINT) AS s, ad.a FROM ad, ({ks}) k(k)
   UNION
-  SELECT r.graph_id, r.k, r.s | {bit('t.x')}, {REMOVE}
-  FROM r JOIN nn ON nn.graph_id = r.graph_id JOIN cl ON cl.graph_id = r.graph_id, (SELECT unnest(range(0, 64)) AS x) t
-  WHERE t.x < nn.n AND ((r.s | cl.c) >> t.x) & 1 = 0 AND bit_count(r.a[t.x + 1]) <= r.k AND bit_count(r.s) < {depth}
+  SELECT r.graph_id, r.k, r.s | {bit('t.x')}, {REMOVE} {grow(f" AND bit_count(r.s) < {depth}")}
 )"""
 
 
@@ -127,19 +164,99 @@ def k_range(low: int, high: int) -> str:
     return f"SELECT unnest(range({low}, {high + 1}))"
 
 
-def width(pairs: str, low: int, high: int, clique: str = "triangle", early: bool = True, explored: bool = False) -> str:
-    goal = "nn.n - r.k - 1" if early else "nn.n - bit_count(cl.c)"
-    more = ""
-    if explored:
-        more = f", (SELECT CAST(count(*) AS BIGINT) FROM r JOIN nn ON nn.graph_id = r.graph_id JOIN cl ON cl.graph_id = r.graph_id WHERE r.graph_id = w.graph_id AND r.k <= w.width AND bit_count(r.s) < {goal}) AS explored"
-    return f"""WITH RECURSIVE {walk(pairs, k_range(low, high), clique, early)},
-w AS (SELECT r.graph_id, CAST(min(r.k) AS BIGINT) AS width FROM r JOIN nn ON nn.graph_id = r.graph_id JOIN cl ON cl.graph_id = r.graph_id WHERE bit_count(r.s) = {goal} GROUP BY r.graph_id)
-SELECT w.graph_id, w.width{more} FROM w"""
+def deepening(pairs: str, clique: str = "max", early: bool = True) -> str:
+    """As walk, for rising targets from the clique's size less one, at least 1: the next target starts where a walk died.
 
+    A row without a set marks the level of each graph's walk. If no set is left beside it
+    and the walk was not at its end, it starts the next target.
+    """
+    depth = "nn.n - {k} - 1" if early else "nn.n - cl.size"
+    return f"""{base(pairs, clique)},
+r AS (
+  SELECT ad.graph_id, greatest(cl.size - 1, 1) AS k, CASE WHEN z.z = 1 THEN CAST(0 AS UBIGINT) END AS s, ad.a, CAST(0 AS BIGINT) AS lvl
+  FROM ad JOIN cl ON cl.graph_id = ad.graph_id, (SELECT unnest([0, 1]) AS z) z
+  UNION ALL
+  SELECT y.graph_id, CASE WHEN y.s IS NULL AND y.c = 1 THEN y.k + 1 ELSE y.k END, CASE WHEN z.z = 1 THEN CAST(0 AS UBIGINT) ELSE y.s END,
+         y.a, CASE WHEN y.s IS NULL AND y.c = 1 THEN 0 ELSE y.lvl END
+  FROM (SELECT x.*, count(*) OVER (PARTITION BY x.graph_id) AS c FROM (
+      SELECT r.graph_id, r.k, r.s | {bit('t.x')} AS s, any_value({REMOVE}) AS a, max(r.lvl) + 1 AS lvl {grow(f" AND r.s IS NOT NULL AND r.lvl < {depth.format(k='r.k')}")} GROUP BY 1, 2, 3
+      UNION ALL
+      SELECT r.graph_id, r.k, NULL, r.a, r.lvl + 1 FROM r WHERE r.s IS NULL
+    ) x) y JOIN nn ON nn.graph_id = y.graph_id JOIN cl ON cl.graph_id = y.graph_id, (SELECT unnest([0, 1]) AS z) z
+  WHERE CASE WHEN y.s IS NULL AND y.c = 1 THEN y.lvl - 1 < {depth.format(k='y.k')} ELSE z.z = 0 END
+)"""
 
-def batch(pairs: str, high: int) -> str:
-    """Widths of many small graphs: each tries all targets."""
-    return width(pairs, 1, high, "none")
+
+def width(pairs: str, clique: str = "max", early: bool = True, explored: bool = False) -> str:
+    goal = "nn.n - r.k - 1" if early else "nn.n - cl.size"
+    more = f", CAST(count(*) FILTER (r.s IS NOT NULL AND r.lvl < {goal}) AS BIGINT) AS explored" if explored else ""
+    return f"""WITH RECURSIVE {deepening(pairs, clique, early)}
+SELECT r.graph_id, CAST(max(r.k) AS BIGINT) AS width{more} FROM r JOIN nn ON nn.graph_id = r.graph_id JOIN cl ON cl.graph_id = r.graph_id GROUP BY r.graph_id"""
+
+
+def _times(x: str, factor: int) -> str:
+    return f"CAST((CAST({x} AS UHUGEINT) * CAST('{factor}' AS UHUGEINT)) % CAST('{1 << 64}' AS UHUGEINT) AS UBIGINT)"
+
+
+def _plus(x: str, term: int) -> str:
+    return f"CAST((CAST({x} AS UHUGEINT) + CAST('{term}' AS UHUGEINT)) % CAST('{1 << 64}' AS UHUGEINT) AS UBIGINT)"
+
+
+def hashed(s: str) -> str:
+    """The 64-bit hash of a set, as an unsigned number in the order of the signed one."""
+    p1, p2, p3, p4, p5 = 0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5
+    turn = lambda x, r: f"({_times(x, 1 << r)} | ({x} >> {64 - r}))"
+    steps = (
+        _times("x", p2),
+        _times(turn("x", 31), p1),
+        f"xor(x, CAST('{(42 + p5 + 8) % (1 << 64)}' AS UBIGINT))",
+        _plus(_times(turn("x", 27), p1), p4),
+        _times("xor(x, x >> 33)", p2),
+        _times("xor(x, x >> 29)", p3),
+        f"xor(xor(x, x >> 32), CAST('{1 << 63}' AS UBIGINT))",
+    )
+    out = f"[{s}]"
+    for step in steps:
+        out = f"list_transform({out}, lambda x: {step})"
+    return f"{out}[1]"
+
+
+def capacity_levels(pairs: str, k: int, most: int) -> str:
+    """(k, size, states, total): what is left of each level of one walk of at most ``most`` states a level, and the sum of its sets."""
+    return f"""WITH RECURSIVE {base(pairs, "none")},
+r AS (
+  SELECT ad.graph_id, CAST({k} AS BIGINT) AS k, CAST(0 AS UBIGINT) AS s, ad.a FROM ad
+  UNION ALL
+  SELECT graph_id, k, s, a FROM (SELECT *, row_number() OVER (PARTITION BY graph_id ORDER BY {hashed('s')}) AS place FROM (
+    SELECT r.graph_id, r.k, r.s | {bit('t.x')} AS s, any_value({REMOVE}) AS a {grow(" AND bit_count(r.s) < nn.n - r.k - 1")} GROUP BY 1, 2, 3)) WHERE place <= {most}
+)
+SELECT k, CAST(bit_count(s) AS BIGINT) AS size, CAST(count(*) AS BIGINT) AS states, CAST(sum(s) AS BIGINT) AS total FROM r GROUP BY 1, 2"""
+
+
+def paths(pairs: str) -> str:
+    """CTEs with pt(graph_id, u, v, n_paths): the least vertex cut of each pair that is not adjacent, over all vertex subsets."""
+    return f"""{base(pairs, "none")},
+sb AS (SELECT ad.graph_id, nn.n, CAST(x.x AS UBIGINT) AS c, ad.a FROM ad JOIN nn ON nn.graph_id = ad.graph_id, (SELECT unnest(range(0, 65536)) AS x) x WHERE x.x < (1 << CAST(nn.n AS INTEGER))),
+st AS (SELECT graph_id, n, c, a, CAST(u.u AS BIGINT) AS u, {bit('u.u')} AS m FROM sb, (SELECT unnest(range(0, 16)) AS u) u WHERE u.u < n AND (c >> u.u) & 1 = 0),
+fl AS (SELECT graph_id, n, c, a, u, m, 0 AS step FROM st UNION ALL
+  SELECT graph_id, n, c, a, u, more, step + 1 FROM (SELECT *, list_reduce(list_prepend(m, list_transform(a, lambda y, i: CASE WHEN (m >> CAST(i - 1 AS BIGINT)) & 1 = 1 THEN y ELSE CAST(0 AS UBIGINT) END)), lambda y, z: y | z) & ({ALL} - c) AS more FROM fl) WHERE more <> m),
+lt AS (SELECT graph_id, c, u, arg_max(m, step) AS m FROM fl GROUP BY 1, 2, 3),
+pt AS (SELECT lt.graph_id, lt.u, CAST(v.v AS BIGINT) AS v, CAST(min(bit_count(lt.c)) AS BIGINT) AS n_paths FROM lt JOIN nn ON nn.graph_id = lt.graph_id JOIN ad ON ad.graph_id = lt.graph_id, (SELECT unnest(range(0, 16)) AS v) v
+  WHERE v.v > lt.u AND v.v < nn.n AND (ad.a[lt.u + 1] >> v.v) & 1 = 0 AND (lt.c >> v.v) & 1 = 0 AND (lt.m >> v.v) & 1 = 0 GROUP BY 1, 2, 3)"""
+
+
+def greedy(pairs: str) -> str:
+    """Width of the order that removes a vertex of least degree, lowest first, again and again."""
+    return f"""WITH RECURSIVE {base(pairs, "none")},
+st AS (
+  SELECT graph_id, a, list_transform(a, lambda m: TRUE) AS live, CAST(0 AS BIGINT) AS best FROM ad
+  UNION ALL
+  SELECT graph_id, list_transform(a, lambda m, i: CASE WHEN i = v THEN CAST(0 AS UBIGINT) WHEN (m >> (v - 1)) & 1 = 1 THEN (m | a[v]) & ({ALL} - ({bit('v - 1')} | {bit('CAST(i - 1 AS BIGINT)')})) ELSE m END),
+    list_transform(live, lambda x, i: x AND i <> v), greatest(best, d)
+  FROM (SELECT graph_id, a, live, best, CAST(list_position(deg, list_min(deg)) AS BIGINT) AS v, list_min(deg) AS d
+    FROM (SELECT graph_id, a, live, best, list_transform(a, lambda m, i: CASE WHEN live[i] THEN CAST(bit_count(m) AS BIGINT) ELSE 1000 END) AS deg FROM st WHERE list_contains(live, TRUE)))
+)
+SELECT graph_id, max(best) AS bound FROM st GROUP BY graph_id"""
 
 
 def component_graphs(pairs: str) -> str:
@@ -155,15 +272,10 @@ reach AS (SELECT DISTINCT graph_id, u AS x, u AS y FROM bo UNION SELECT reach.gr
 lab AS (SELECT graph_id, x, min(y) AS c FROM reach GROUP BY graph_id, x)"""
 
 
-def split_batch(pairs: str, high: int) -> str:
-    """Widths of the components of a graph."""
-    inner = walk("SELECT * FROM part", k_range(1, high), "none").replace("raw AS", "raw2 AS", 1).replace("FROM raw ", "FROM raw2 ", 1)
-    for name in ("pr", "vt", "ed", "bo"):
-        inner = inner.replace(f"{name} AS (", f"{name}2 AS (").replace(f"FROM {name} ", f"FROM {name}2 ").replace(f"FROM {name})", f"FROM {name}2)").replace(f"JOIN {name} ", f"JOIN {name}2 ").replace(f"{name}.g", f"{name}2.g")
-    inner = inner.replace("pr.a", "pr2.a").replace("pr.b", "pr2.b")
-    return f"""WITH RECURSIVE {labels(pairs)}, part AS ({component_graphs(pairs)}),
-{inner}
-SELECT r.graph_id, CAST(min(r.k) AS BIGINT) AS width FROM r JOIN nn ON nn.graph_id = r.graph_id WHERE bit_count(r.s) = nn.n - r.k - 1 GROUP BY r.graph_id"""
+def split_pairs(pairs: str) -> str:
+    """The pairs of the components of a graph, as graphs of their own."""
+    inner = component_graphs(pairs)
+    return f"WITH RECURSIVE {labels(pairs)} {inner}"
 
 
 MMW = f"""WITH RECURSIVE {{norm}},
@@ -196,5 +308,6 @@ st AS (
 SELECT graph_id, CAST(max(best) AS BIGINT) AS bound FROM st GROUP BY graph_id"""
 
 
-def mmw(pairs: str) -> str:
-    return MMW.format(norm=normalized(pairs))
+def mmw(pairs: str, rule: str = "min") -> str:
+    text = MMW.format(norm=normalized(pairs))
+    return text.replace("list_min(deg) AS d", "list_sort(deg)[2] AS d") if rule == "second" else text

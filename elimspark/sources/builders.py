@@ -22,13 +22,15 @@ def load(spark: SparkSession, folder: str, name: str, *columns: str) -> DataFram
 
 def strongest(pairs: DataFrame, top: int) -> DataFrame:
     """Pairs (a, b, w) that one of the ends ranks among its ``top`` partners: weight first, then the partner."""
-    both = pairs.select("a", "b", "w").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"), "w"))
-    return best(both, top).select("a", "b")
+    keys = [c for c in pairs.columns if c not in ("a", "b", "w")]
+    ends = F.array(F.struct("a", "b"), F.struct(F.col("b").alias("a"), F.col("a").alias("b")))
+    both = pairs.select(*keys, "w", F.explode(ends).alias("e")).select(*keys, "e.a", "e.b", "w")
+    return best(both, top, *keys).select(*keys, "a", "b")
 
 
-def best(both: DataFrame, top: int) -> DataFrame:
-    """Rows (a, b, w) that rank among the ``top`` of their a."""
-    rank = F.row_number().over(Window.partitionBy("a").orderBy(F.desc("w"), "b"))
+def best(both: DataFrame, top: int, *keys: str) -> DataFrame:
+    """Rows (a, b, w) that rank among the ``top`` of their a (of their graph, where there is a key)."""
+    rank = F.row_number().over(Window.partitionBy(*keys, "a").orderBy(F.desc("w"), "b"))
     return both.withColumn("rank", rank).where(F.col("rank") <= top).drop("rank")
 
 
@@ -40,7 +42,7 @@ def nation(spark: SparkSession, folder: str, top: int) -> Tables:
     supplier = load(spark, folder, "supplier", "s_suppkey", F.col("s_nationkey").alias("y"))
     joined = items.join(orders, items.l_orderkey == orders.o_orderkey).join(customer, orders.o_custkey == customer.c_custkey).join(supplier, items.l_suppkey == supplier.s_suppkey)
     pairs = joined.where("x <> y").groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count("*").alias("w"))
-    return normalize_edges(strongest(pairs, top))
+    return normalize_edges(strongest(pairs, top), bounded=True)
 
 
 def brand(spark: SparkSession, folder: str, top: int) -> Tables:
@@ -48,7 +50,7 @@ def brand(spark: SparkSession, folder: str, top: int) -> Tables:
     items = load(spark, folder, "lineitem", "l_orderkey", "l_partkey").join(load(spark, folder, "part", "p_partkey", "p_brand"), F.col("l_partkey") == F.col("p_partkey"))
     held = items.select("l_orderkey", "p_brand").distinct()
     pairs = held.withColumnRenamed("p_brand", "a").join(held.withColumnRenamed("p_brand", "b"), "l_orderkey").where("a < b").groupBy("a", "b").agg(F.count("*").alias("w"))
-    return normalize_edges(strongest(pairs, top))
+    return normalize_edges(strongest(pairs, top), bounded=True)
 
 
 def embedding(spark: SparkSession, folder: str, size: int, top: int) -> Tables:
@@ -116,7 +118,7 @@ def letter(spark: SparkSession, folder: str, lang: str, count: int) -> Tables:
     spots = words.select("n", "run", F.explode(F.sequence(F.lit(1), F.length("run") - 1)).alias("i"))
     letters = spots.select("n", F.expr("substring(run, i, 1)").alias("x"), F.expr("substring(run, i + 1, 1)").alias("y")).where("x <> y")
     pairs = letters.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.sum("n").alias("w"))
-    return normalize_edges(pairs.orderBy(F.desc("w"), "a", "b").limit(count))
+    return normalize_edges(pairs.orderBy(F.desc("w"), "a", "b").limit(count), bounded=True)
 
 
 def letter_all(spark: SparkSession, folder: str) -> Tables:
@@ -127,6 +129,38 @@ def letter_all(spark: SparkSession, folder: str) -> Tables:
     return normalize_edges(spots.select("g", F.expr("substring(run, i, 1)").alias("a"), F.expr("substring(run, i + 1, 1)").alias("b")), graph=F.col("g"))
 
 
+def letters(spark: SparkSession, folder: str, top: int) -> Tables:
+    """Per language, each letter and its most frequent neighbours in all texts."""
+    text = load(spark, folder, "documents", "text", "lang")
+    runs = text.select(F.coalesce("lang", F.lit("null")).alias("g"), F.explode(F.regexp_extract_all(F.lower("text"), F.lit("([a-z]{2,})"), F.lit(1))).alias("run"))
+    words = runs.groupBy("g", "run").agg(F.count("*").alias("n"))
+    spots = words.select("g", "n", "run", F.explode(F.sequence(F.lit(1), F.length("run") - 1)).alias("i"))
+    pairs = spots.select("g", "n", F.expr("substring(run, i, 1)").alias("x"), F.expr("substring(run, i + 1, 1)").alias("y")).where("x <> y")
+    pairs = pairs.groupBy("g", F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.sum("n").alias("w"))
+    return normalize_edges(strongest(pairs, top), graph=F.col("g"))
+
+
+def months(spark: SparkSession, folder: str, top: int) -> Tables:
+    """Months of orders and of their shipments, each with the months that most items join it to."""
+    orders = load(spark, folder, "orders", "o_orderkey", F.month("o_orderdate").alias("x"))
+    items = load(spark, folder, "lineitem", "l_orderkey", F.month("l_shipdate").alias("y"))
+    joined = orders.join(items, F.col("o_orderkey") == F.col("l_orderkey")).where("x <> y")
+    return normalize_edges(strongest(joined.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count("*").alias("w")), top), bounded=True)
+
+
+def status(spark: SparkSession, folder: str) -> Tables:
+    """States of orders and their priorities."""
+    rows = load(spark, folder, "orders", "o_orderstatus", "o_orderpriority").distinct()
+    return normalize_edges(rows.select(F.concat(F.lit("s"), "o_orderstatus").alias("a"), F.concat(F.lit("p"), "o_orderpriority").alias("b")), bounded=True)
+
+
+def segment(spark: SparkSession, folder: str) -> Tables:
+    """Market segments of customers and priorities of their orders."""
+    orders = load(spark, folder, "orders", "o_custkey", "o_orderpriority")
+    rows = orders.join(load(spark, folder, "customer", "c_custkey", "c_mktsegment"), F.col("o_custkey") == F.col("c_custkey"))
+    return normalize_edges(rows.select(F.concat(F.lit("s"), "c_mktsegment").alias("a"), F.concat(F.lit("p"), "o_orderpriority").alias("b")).distinct(), bounded=True)
+
+
 def shared_lines(documents: DataFrame, length: int) -> DataFrame:
     """Pairs (a, b) of documents that hold the same line of more than ``length`` signs."""
     held = documents.select("doc_id", F.explode(F.split("text", "\n")).alias("line")).where(F.length("line") > length).select("doc_id", F.xxhash64("line").alias("h"), "line").distinct()
@@ -193,4 +227,4 @@ def benchword(spark: SparkSession, folder: str) -> Tables:
 def geo(spark: SparkSession, folder: str) -> Tables:
     """Regions and their nations."""
     region, nations = load(spark, folder, "region", "r_regionkey", "r_name"), load(spark, folder, "nation", "n_regionkey", "n_name")
-    return normalize_edges(region.join(nations, F.col("r_regionkey") == F.col("n_regionkey")).select(F.col("r_name").alias("a"), F.col("n_name").alias("b")))
+    return normalize_edges(region.join(nations, F.col("r_regionkey") == F.col("n_regionkey")).select(F.col("r_name").alias("a"), F.col("n_name").alias("b")), bounded=True)

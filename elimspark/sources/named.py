@@ -64,7 +64,24 @@ def kneser(a: int, b: int) -> Graph:
     return Graph.of(len(sets), [(i, j) for i in range(len(sets)) for j in range(i) if not set(sets[i]) & set(sets[j])], f"KneserGraph_{a}_{b}")
 
 
-KINDS = {"queen": queen, "mycielski": mycielski, "grid": grid, "torus": torus, "complete": complete, "cycle": cycle, "path": path, "kneser": kneser}
+def unitary_polar() -> Graph:
+    """The 63 points of the plane over nine elements off a Hermitian curve, joined where their line touches the curve."""
+    times = lambda x, y: ((x[0] * y[0] - x[1] * y[1]) % 3, (x[0] * y[1] + x[1] * y[0]) % 3)
+    bar = lambda x: (x[0], -x[1] % 3)
+    field = [(a, b) for a in range(3) for b in range(3)]
+
+    def form(p, q):
+        parts = [times(x, bar(y)) for x, y in zip(p, q)]
+        return sum(x[0] for x in parts) % 3, sum(x[1] for x in parts) % 3
+
+    zero, one = (0, 0), (1, 0)
+    points = [(one, x, y) for x in field for y in field] + [(zero, one, y) for y in field] + [(zero, zero, one)]
+    off = [p for p in points if form(p, p) != zero]
+    touch = lambda p, q: times(form(p, q), bar(form(p, q))) == times(form(p, p), form(q, q))
+    return Graph.of(len(off), [(u, v) for v in range(len(off)) for u in range(v) if touch(off[u], off[v])], "NonisotropicUnitaryPolarGraph_3_3")
+
+
+KINDS = {"queen": queen, "mycielski": mycielski, "grid": grid, "torus": torus, "complete": complete, "cycle": cycle, "path": path, "kneser": kneser, "mcgee": lambda *_: mcgee(), "dyck": lambda *_: dyck(), "unitary_polar": lambda *_: unitary_polar()}
 
 
 def edge_frame(spark: SparkSession, *graphs: Graph) -> DataFrame:

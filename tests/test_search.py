@@ -35,6 +35,8 @@ def test_all_exact_methods_agree(g):
     assert bounds.mmw(g) <= width and bounds.mmw(g, "second") <= width <= bounds.greedy_order(g)[0]
     assert bounds.degeneracy(g) <= width <= bounds.greedy_order(g, "degree")[0]
     assert local.width_at_most_2(g) == (width <= 2)
+    assert local.positive_instances(g)[0] == width
+    assert [local.width_at_most(g, k)[0] for k in (1, 2, 3, 4)] == [width <= k for k in (1, 2, 3, 4)]
 
 
 @settings(max_examples=25, deadline=None)

@@ -120,3 +120,20 @@ def test_normalized_labels_keep_order(spark):
     edges, vertices = normalize_edges(spark.createDataFrame([("b", "a"), ("c", "b")], "a string, b string"))
     assert [r.label for r in vertices.orderBy("vid").collect()] == ["a", "b", "c"]
     assert local.sequential(api.graph_of(edges)).width == 1
+
+
+def test_functions_of_tables_and_rows(spark):
+    from elimspark.functions import udfs
+    from elimspark.operators import orders
+
+    udfs.register(spark)
+    graphs = {g.name: g for g in (named.cycle(6), named.grid(3, 3))}
+    named.edge_frame(spark, *graphs.values()).createOrReplaceTempView("some_edges")
+    found = spark.sql("select * from table_orders(table(some_edges) partition by graph_id)").collect()
+    for name, g in graphs.items():
+        order = [r.vid for r in sorted((r for r in found if r.graph_id == name), key=lambda r: r.pos)]
+        assert sorted(order) == list(range(g.n)) and orders.order_width(g, order) == local.sequential(g).width
+    levels = spark.sql("select * from table_levels(table(some_edges) partition by (graph_id), 3)").collect()
+    assert {r.graph_id for r in levels} == set(graphs) and all(r.expanded for r in levels)
+    row = spark.sql("select graph_id, degree_of(m, 3L, 2) d, is_feasible(m, 3L, 2, 1) f from (select graph_id, edges_to_masks(u, v) m from some_edges group by graph_id)").collect()
+    assert {r.graph_id: (r.d, r.f) for r in row} == {n: (orders.reached(g, 3, 2).bit_count(), orders.reached(g, 3, 2).bit_count() <= 1) for n, g in graphs.items()}
