@@ -9,6 +9,7 @@ from __future__ import annotations
 import tempfile
 import uuid
 from collections.abc import Iterator
+from contextlib import contextmanager
 
 import numpy as np
 import pyarrow as pa
@@ -22,16 +23,41 @@ SLICE_BYTES = 1 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared scratch folder; a local one only where none is configured."""
+    """The cluster's shared scratch folder; a local one only where none is configured and the session is local."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if folder:
         return folder
     context = spark.sparkContext
     if context.getCheckpointDir() is None:
+        if not context.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         context.setCheckpointDir(tempfile.mkdtemp(prefix="elimspark-"))
     return context.getCheckpointDir()
 
 
+#: Folders of the scratch tables that were made and not deleted, in order.
+_made: list[str] = []
+
+
+def delete(spark: SparkSession, where: str) -> None:
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(where)
+    path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+
+
+@contextmanager
+def released(spark: SparkSession, keep: str = "") -> Iterator[None]:
+    """Deletes the scratch tables of all operators called in the block, but those below ``keep``.
+
+    An operator returns a frame that reads its scratch tables, so only a caller that has
+    written that frame knows that they are done with.
+    """
+    before = len(_made)
+    yield
+    for where in [w for w in _made[before:] if not keep or not w.startswith(keep)]:
+        delete(spark, where)
+        _made.remove(where)
+
+
 class Scratch:
     """Named intermediate tables of one operator call, kept in the shared folder."""
 
@@ -39,6 +65,7 @@ class Scratch:
         self.spark = spark
         self.root = f"{shared_dir(spark).rstrip('/')}/{owner}-{uuid.uuid4().hex}"
         self.made = 0
+        _made.append(self.root)
 
     def keep(self, frame: DataFrame, name: str) -> DataFrame:
         """Write a frame and read it back: its lineage ends here."""
@@ -51,10 +78,7 @@ class Scratch:
 
     def drop(self, frame: DataFrame) -> None:
         """Delete a table made by keep(); the caller knows that nothing reads it again."""
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(frame._scratch_path)
-        conf = self.spark.sparkContext._jsc.hadoopConfiguration()
-        path.getFileSystem(conf).delete(path, True)
+        delete(self.spark, frame._scratch_path)
 
 
 def spread_id(id_column: Column, bits: int = 31) -> Column:

@@ -17,7 +17,8 @@ hash; lines are never joined, compared or carried.
 
 The arrays of all shards together are broadcast if they have at most ``LOCAL_BYTES``, a
 size that is known before; otherwise hashes are routed to the shard that holds them, each
-shard answers its probes from its arrays, and the answers return to the documents.
+shard answers its probes from its arrays, and the answers return to the documents. Both
+ways give the same rows.
 
 Edge cases: null and empty texts have no lines and stay as they are; null doc_ids and
 repeated rows are documents like others (repeated rows count each); the counts hold as
@@ -29,13 +30,15 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from .common import U64, Scratch, mix64
 
 MAX_DOCS, SHARD_KEYS, LOCAL_BYTES, GAMMA, LEVELS = 10, 1 << 20, 64 << 20, 1.5, 48
 SALTS = 4
+#: Lines that one task looks up.
+PROBES = 1 << 24
 
 
 class PerfectHash:
@@ -274,7 +277,9 @@ def keep_first(documents: DataFrame, local_bytes: int = LOCAL_BYTES, shard_keys:
         stamp = lambda c: c
     lines = line_hashes(line_array(F.col("text")))
     each = base.select(place.alias("place"), F.explode(lines).alias("hash")).where("hash <> 0")
-    repeated = each.groupBy("hash").agg(F.count("*").alias("n"), F.min("place").alias("place")).where("n > 1")
+    seen = Observation()
+    counted = each.groupBy("hash").agg(F.count("*").alias("n"), F.min("place").alias("place")).observe(seen, F.coalesce(F.sum("n"), F.lit(0)).alias("lines"))
+    repeated = counted.where("n > 1")
     repeated = scratch.keep(repeated.select("hash", stamp(F.col("place")).alias("owner")), "repeated")
     shards = max(1, -(-repeated.count() // shard_keys))
 
@@ -308,11 +313,13 @@ def keep_first(documents: DataFrame, local_bytes: int = LOCAL_BYTES, shard_keys:
 
         source = base.select("doc_id", "text", stamp(place).alias("stamp"), lines.alias("hashes"))
         return _keep(source.mapInArrow(probe, "doc_id long, text string, common array<boolean>"), F.col("common"))
-    numbered = scratch.keep(base.select("doc_id", "text", stamp(place).alias("stamp"), F.monotonically_increasing_id().alias("row")), "numbered")
-    asked = numbered.select("row", "stamp", F.posexplode(lines).alias("at", "hash")).where("hash <> 0")
-    probes = asked.select(owner.alias("shard"), F.pmod("row", F.lit(SALTS)).cast("int").alias("salt"), F.lit(1).alias("kind"), "row", "stamp", "at", "hash", F.lit(None).cast("binary").alias("blob"))
-    nothing = [F.lit(None).cast(t).alias(n) for n, t in (("row", "long"), ("stamp", "long"), ("at", "int"), ("hash", "long"))]
-    copies = arrays.select("shard", F.explode(F.array(*[F.lit(k) for k in range(SALTS)])).alias("salt"), F.lit(0).alias("kind"), *nothing, "blob")
+    # Lines go to the shard that may hold them, from as many tasks a shard as keep PROBES lines in each.
+    salts = max(1, -(-seen.get["lines"] // (shards * PROBES)))
+    marked = base.select("doc_id", "text", stamp(place).alias("row"))
+    asked = marked.select("row", F.posexplode(lines).alias("at", "hash")).where("hash <> 0")
+    probes = asked.select(owner.alias("shard"), F.pmod(F.xxhash64("row"), F.lit(salts)).cast("int").alias("salt"), F.lit(1).alias("kind"), "row", "at", "hash", F.lit(None).cast("binary").alias("blob"))
+    nothing = [F.lit(None).cast(t).alias(n) for n, t in (("row", "long"), ("at", "int"), ("hash", "long"))]
+    copies = arrays.select("shard", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"), F.lit(0).alias("kind"), *nothing, "blob")
     # The lines of a row that are equal come one after the other, first position first.
     routed = probes.unionByName(copies).repartition("shard", "salt").sortWithinPartitions("shard", "salt", "kind", "row", "hash", "at")
 
@@ -329,16 +336,16 @@ def keep_first(documents: DataFrame, local_bytes: int = LOCAL_BYTES, shard_keys:
                 if place != tuple(cells[a]):  # no line of this shard repeats
                     continue
                 part = batch.slice(a, b - a)
-                row, hashes, stamps = (np.asarray(part.column(c)).astype(np.int64) for c in ("row", "hash", "stamp"))
+                row, hashes = (np.asarray(part.column(c)).astype(np.int64) for c in ("row", "hash"))
                 hit, owners = table.probe(hashes.view(U64))
                 again = np.zeros(len(row), bool)
                 again[1:] = (row[1:] == row[:-1]) & (hashes[1:] == hashes[:-1])
                 again[0] = last == (row[0], hashes[0])
                 last = (row[-1], hashes[-1])
-                yield part.select(["row", "at"]).filter(pa.array(hit & (again | (owners != stamps))))
+                yield part.select(["row", "at"]).filter(pa.array(hit & (again | (owners != row))))
 
     dropped = routed.mapInArrow(answer, "row long, at int").groupBy("row").agg(F.collect_set("at").alias("gone"))
-    joined = numbered.join(dropped, "row", "left")
+    joined = marked.join(dropped, "row", "left")
     gone = F.coalesce(F.col("gone"), F.array().cast("array<int>"))
     flags = F.transform(line_array(F.col("text")), lambda x, k: F.array_contains(gone, k))
     return _keep(joined.select("doc_id", "text", flags.alias("common")), F.col("common"))
