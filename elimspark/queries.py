@@ -479,4 +479,4 @@ _anchor("anchor_unitary_polar", named.unitary_polar, 53, 1_558_852)
 # The same with the larger levels on the cluster.
 _anchor("anchor_queen6_spread", lambda: named.queen(6), 25, 35_973, EXACT.but(local_limit=2_000))
 _anchor("anchor_queen7_spread", lambda: named.queen(7), 35, 1_901_029, EXACT.but(local_limit=100_000))
-_anchor("anchor_unitary_polar_spread", named.unitary_polar, 53, 1_558_852, EXACT.but(local_limit=200_000))
+_anchor("anchor_unitary_polar_spread", named.unitary_polar, 53, 1_558_852, EXACT.but(local_limit=100_000))
