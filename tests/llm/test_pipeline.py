@@ -84,3 +84,64 @@ def test_stages_take_odd_rows_empty_tables_and_clashing_columns(spark, docs):
             assert ids == Counter(r[0] for r in ODD)
         else:
             assert abs(len(rows) - len(ODD)) <= 4
+
+
+def triples(text):
+    import re
+
+    words = re.findall(r"[^\W_]+", (text or "").lower())
+    return {" ".join(words[k : k + 3]) for k in range(max(1, len(words) - 2))} if words else set()
+
+
+def scrambled(i):
+    return (i % 2147483647 * 1103515245 + 12345) % 2**31
+
+
+def test_later_stages_equal_brute_force(spark):
+    """All pairs by Jaccard, all items in all texts, plain running sums and a plain schedule."""
+    import hashlib
+    import heapq
+    import re
+    from fractions import Fraction
+
+    docs = spark.read.parquet(f"{FOLDER}/documents.parquet")
+    rows = {r.doc_id: r for r in docs.collect()}
+
+    kept = {r.doc_id for r in cp.drop_near_duplicates(spark, docs, FOLDER).collect()}
+    sets = {i: triples(r.text) for i, r in rows.items()}
+    likeness = lambda a, b: len(sets[a] & sets[b]) / max(1, len(sets[a] | sets[b]))
+    pairs = [(a, b, likeness(a, b)) for a in rows for b in rows if a < b and sets[a] and sets[b]]
+    assert not [p for p in pairs if p[2] >= 0.65 and p[0] in kept and p[1] in kept]
+    near = {x for a, b, j in pairs if j >= 0.3 for x in (a, b)}
+    assert set(rows) - kept <= near and any(p[2] >= 0.65 for p in pairs)
+
+    plain = lambda t: re.sub(r"[\W_]+", " ", t.lower()).strip()
+    items = [plain(r.text) for r in spark.read.parquet(f"{FOLDER}/benchmark.parquet").collect()]
+    leaks = {i for i, r in rows.items() if any(decontam.myers(t, plain(r.text), decontam.budget(len(t))) is not None for t in items)}
+    got = {r.doc_id for r in cp.drop_benchmark_leaks(spark, docs, FOLDER).collect()}
+    assert got == set(rows) - leaks and leaks
+
+    weight = lambda s: int(m[0]) % 4 + 1 if (m := re.search(r"\d{1,9}$", s or "")) else 1
+    by: dict = {}
+    for i, r in rows.items():
+        by.setdefault(r.source, []).append(i)
+    whole = sum(weight(s) for s in by)
+    want = Counter()
+    for s, ids in by.items():
+        step = Fraction(len(rows) * weight(s), len(ids) * whole)
+        draw = int(hashlib.md5(f"42:s{s}".encode()).hexdigest()[:7], 16)
+        total = Fraction(len(ids) * whole * draw // (1 << 28), len(ids) * whole)
+        for i in sorted(ids, key=lambda i: (scrambled(i), i)):
+            want[i] += int(total + step) - int(total)
+            total += step
+    mixed = cp.mix_sources(spark, docs, FOLDER)
+    assert Counter(r.doc_id for r in mixed.collect()) == +want
+
+    groups = sorted(((n * max(1, len(rows[i].text or "")), i) for i, n in (+want).items()), key=lambda g: (-g[0], scrambled(g[1]), g[1]))
+    loads = [(0, s) for s in range(cp.SHARDS)]
+    shard = {}
+    for size, i in groups:
+        load, s = heapq.heappop(loads)
+        shard[i] = (size, s)
+        heapq.heappush(loads, (load + size, s))
+    assert {r.doc_id: (r.group_size, r.shard) for r in cp.assign_shards(spark, mixed, FOLDER).collect()} == shard
