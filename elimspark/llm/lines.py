@@ -38,7 +38,7 @@ from .common import U64, Scratch, mix64
 MAX_DOCS, SHARD_KEYS, LOCAL_BYTES, GAMMA, LEVELS = 10, 1 << 20, 64 << 20, 1.5, 48
 SALTS = 4
 #: Lines that one task looks up.
-PROBES = 1 << 24
+PROBES = 1 << 22
 
 
 class PerfectHash:
