@@ -1,39 +1,32 @@
-"""Nearest neighbours by randomly rotated one-bit codes, every row a query.
-
-Vectors are scaled to length one and split into cells around centres (spherical k-means
-on a sample). Within a cell a vector is its centre plus a residual; the residual's
-direction is rotated at random and kept as one sign bit per dimension, packed, with two
-correction scalars: the residual's length, and the inner product of the direction with
-its code. From these and a four-bit form of the query's rotated residual the inner
-product is estimated by counting bits, with an error bound that shrinks with the root of
-the dimension; vectors whose upper bound reaches the k-th best lower bound are compared
-exactly.
-
-A query first searches its own cell; its k-th best there is a floor for the other cells
-it visits, so only vectors whose upper bound reaches that floor are compared exactly. How
-many cells are visited is measured, not set: up to ``CALIBRATE`` rows are compared with
-all rows, and the number is the least that holds the share ``TARGET`` of their true
-neighbours. On well-clustered data that is a few cells, on data without clusters most of
-them; recall holds at every size and work adapts. A cell visited by many queries is split
-among tasks by query. Centres are learned from at most ``SAMPLE`` rows, at most SAMPLE / 8
-of them, so beyond 4 million rows cells grow with the table.
+"""Nearest neighbours by cosine, exact: the rows that are asked for against all rows.
+
+The table is cut into parts by id; a task holds one part, and every query's vector visits
+every part. A block of queries meets a block of the part in one matrix product of single
+precision. Pairs that reach the query's floor, the k-th best similarity so far less the
+product's largest possible error, are computed again in double precision, and each part
+gives a query's k best. Nothing is sampled, learned or estimated, so no neighbour is lost;
+the work is queries times rows.
+
+The similarity is rounded to six digits, and ranks follow the rounded one; ties go to the
+lower id.
 
 Edge cases: null vectors, vectors with null, NaN or infinite parts or of length zero have no
-neighbours and are no one's; vectors of another dimension than the most frequent one are
-left out likewise; null ids are left out; repeated rows of one id count once (the least
-vector); ties in similarity go to the lower id.
+neighbours and are no one's; vectors of another dimension than the most frequent one (the
+lower of two as frequent) are left out likewise; null ids are left out; repeated rows of one
+id count once (the least vector).
+
+``Codes`` are one-bit codes of rotated vectors with bounds; the search does not need them.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch
-
-K, CELL, TARGET, CALIBRATE, SAMPLE, ROUNDS, EPSILON, SALTS = 10, 512, 0.97, 512, 65_536, 8, 1.9, 8
+#: Neighbours of a query; rows of a block of the part and of a block of queries; bytes of vectors of a part.
+K, CELL, ASKED, PART_BYTES = 10, 1024, 512, 1 << 26
 
 
 def rotation(dim: int, seed: int = 7) -> np.ndarray:
@@ -43,22 +36,6 @@ def rotation(dim: int, seed: int = 7) -> np.ndarray:
     return (q * np.sign(np.diag(r)))[:, :dim].astype(np.float32)
 
 
-def centres_of(sample: np.ndarray, count: int, rounds: int = ROUNDS, seed: int = 3) -> np.ndarray:
-    """Spherical k-means; an empty centre takes the vector farthest from its own."""
-    rng = np.random.default_rng(seed)
-    centres = sample[rng.choice(len(sample), count, replace=False)].copy()
-    for _ in range(rounds):
-        likeness = sample @ centres.T
-        home, near = likeness.argmax(1), likeness.max(1)
-        for k in np.flatnonzero(np.bincount(home, minlength=count) == 0):
-            far = near.argmin()
-            home[far], near[far] = k, 2.0
-        sums = np.zeros_like(centres)
-        np.add.at(sums, home, sample)
-        centres = sums / np.maximum(np.linalg.norm(sums, axis=1, keepdims=True), 1e-12)
-    return centres.astype(np.float32)
-
-
 class Codes:
     """One-bit codes of residuals, with their correction scalars."""
 
@@ -99,181 +76,127 @@ class Codes:
         return guess, bound
 
 
-def search_cell(centre: np.ndarray, base: np.ndarray, base_ids: np.ndarray, queries: np.ndarray, query_ids: np.ndarray, turn: np.ndarray, k: int, epsilon: float, floors: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray, int]:
-    """(query id, neighbour id, similarity) of each query's k best in a cell, and how many were compared exactly.
-
-    Vectors are compared whose upper bound reaches a floor: the k-th best similarity known
-    of the query, or the k-th best lower bound in the cell if none is.
-    """
-    codes = Codes(base - centre, turn)
-    offset = (base @ centre - centre @ centre).astype(np.float32)
-    out: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-    exact = 0
-    for a in range(0, len(queries), 512):
-        q, ids = queries[a : a + 512], query_ids[a : a + 512]
-        # <b, q> = <b - c, q - c> + <b, c> + <c, q> - <c, c>.
-        guess, bound = codes.estimate(q - centre, turn, epsilon)
-        guess += offset[None, :]
-        guess += (q @ centre)[:, None]
-        if floors is not None:
-            floor = floors[a : a + 512].astype(np.float32) - np.float32(1e-6)
-        elif guess.shape[1] > k + 1:
-            # The query itself may be among them, so one more than k.
-            floor = -np.partition(bound - guess, k, axis=1)[:, k]
-        else:
-            floor = np.full(len(q), -np.inf, np.float32)
-        bound += guess
-        row, column = np.nonzero(bound >= floor[:, None])
-        apart = ids[row] != base_ids[column]
-        row, column = row[apart], column[apart]
-        exact += len(row)
-        likeness = np.empty(len(row))
-        for b in range(0, len(row), 65_536):
-            part = slice(b, b + 65_536)
-            likeness[part] = np.einsum("ij,ij->i", q[row[part]], base[column[part]], dtype=np.float64)
-        if floors is not None:
-            good = likeness >= floor[row] - 1e-6
-            row, column, likeness = row[good], column[good], likeness[good]
-        order = np.lexsort((base_ids[column], -likeness, row))
-        row, column, likeness = row[order], column[order], likeness[order]
-        first = np.searchsorted(row, np.arange(len(q)))
-        best = np.arange(len(row)) - first[row] < k
-        out.append((ids[row[best]], base_ids[column[best]], likeness[best]))
-    return tuple(np.concatenate([o[j] for o in out]) for j in range(3)) + (exact,)  # type: ignore[return-value]
+def _scaled(vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(vectors of length one in single precision, their lengths in double)."""
+    norm = np.sqrt(np.einsum("ij,ij->i", vectors, vectors, dtype=np.float64))
+    return np.divide(vectors, norm[:, None], out=np.empty_like(vectors), casting="same_kind"), norm
+
+
+class Part:
+    """Vectors of a part of the table, searched by brute force."""
+
+    def __init__(self, ids: np.ndarray, vectors: np.ndarray, cell: int = CELL):
+        self.ids, self.vectors, self.cell = ids, vectors, cell
+        self.unit, self.norm = _scaled(vectors)
+        self.dim = vectors.shape[1]
+        # A product errs by at most (dim + 8) / 2**24 for vectors of length one; two of them, and two roundings to six digits.
+        self.margin = 2 * (self.dim + 8) / 2**24 + 1.2e-6
+
+    def nearest(self, ids: np.ndarray, vectors: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """(place of the query, neighbour id, similarity) of each query's k best, in order."""
+        found = [self._block(a, ids[a : a + ASKED], vectors[a : a + ASKED], k) for a in range(0, len(ids), ASKED)]
+        return tuple(np.concatenate([f[j] for f in found]) for j in range(3))  # type: ignore[return-value]
+
+    def _block(self, shift: int, ids: np.ndarray, vectors: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        unit, norm = _scaled(vectors)
+        floor = np.full(len(ids), -np.inf, np.float32)
+        best = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
+        waiting, count = [best], 0
+        for b in range(0, len(self.ids), self.cell):
+            likeness = unit @ self.unit[b : b + self.cell].T
+            if b == 0 and likeness.shape[1] > k + 1:
+                # The query itself may be among them, so one more than k.
+                floor = (np.partition(likeness, -k - 1, axis=1)[:, -k - 1] - self.margin).astype(np.float32)
+            row, column = np.divmod(np.flatnonzero(likeness >= floor[:, None]), likeness.shape[1])
+            column += b
+            apart = ids[row] != self.ids[column]
+            row, column = row[apart], column[apart]
+            waiting.append((row, self.ids[column], self._similarity(vectors, norm, row, column)))
+            count += len(row)
+            if count >= 32 * len(ids) or b + self.cell >= len(self.ids):
+                best, floor = self._sift(waiting, floor, k)
+                waiting, count = [best], 0
+        return best[0] + shift, best[1], best[2]
+
+    def _similarity(self, vectors: np.ndarray, norm: np.ndarray, row: np.ndarray, column: np.ndarray) -> np.ndarray:
+        out = np.empty(len(row))
+        step = max(1, (1 << 20) // self.dim)
+        for a in range(0, len(row), step):
+            r, c = row[a : a + step], column[a : a + step]
+            out[a : a + step] = np.einsum("ij,ij->i", vectors[r], self.vectors[c], dtype=np.float64) / (norm[r] * self.norm[c])
+        return np.round(out, 6) + 0.0
+
+    def _sift(self, waiting: list[tuple[np.ndarray, np.ndarray, np.ndarray]], floor: np.ndarray, k: int) -> tuple[tuple[np.ndarray, np.ndarray, np.ndarray], np.ndarray]:
+        """The k best of each row among those that wait, and the floors that follow."""
+        row, others, likeness = (np.concatenate([w[j] for w in waiting]) for j in range(3))
+        order = np.lexsort((others, -likeness, row))
+        row, others, likeness = row[order], others[order], likeness[order]
+        first = np.searchsorted(row, np.arange(len(floor) + 1))
+        full = np.flatnonzero(np.diff(first) >= k)
+        floor = floor.copy()
+        floor[full] = np.maximum(floor[full], likeness[first[full] + k - 1] - self.margin)
+        good = np.arange(len(row)) - first[row] < k
+        return (row[good], others[good], likeness[good]), floor
 
 
 def _vectors(column: pa.Array, dim: int) -> np.ndarray:
     return np.asarray(column.flatten(), dtype=np.float32).reshape(len(column), dim)
 
 
-def _top(found: DataFrame, k: int) -> DataFrame:
-    """(vec_id, best): the k best (far, neighbour_id) of each query; ties to the lower id."""
-    return found.groupBy("vec_id").agg(F.slice(F.array_sort(F.collect_list(F.struct((-F.col("similarity")).alias("far"), "neighbour_id"))), 1, k).alias("best"))
-
-
-def probes_for(placed: DataFrame, centres: np.ndarray, dim: int, k: int, target: float, queries: int = CALIBRATE) -> int:
-    """Cells to visit so that the share ``target`` of true neighbours lies in them.
+def _searcher(dim: int, k: int, cell: int):
+    """Searches a part: its own rows come first (kind 0), then the queries (kind 1)."""
 
-    Up to ``queries`` rows, those with the least scrambled ids, are compared with all rows;
-    the ranks of their neighbours' cells tell how many cells are needed.
-    """
-    asked = placed.select("vec_id", "vector").orderBy(F.xxhash64("vec_id"), "vec_id").limit(queries).collect()
-    ids, vectors = np.array([r.vec_id for r in asked]), np.array([r.vector for r in asked], np.float32).reshape(-1, dim)
-    held = placed.sparkSession.sparkContext.broadcast((ids, vectors))
-
-    def compare(batches):
-        ids, vectors = held.value
-        for batch in batches:
-            likeness = vectors @ _vectors(batch.column("vector"), dim).T
-            others, home = np.asarray(batch.column("vec_id")), np.asarray(batch.column("home"))
-            likeness[ids[:, None] == others[None, :]] = -np.inf
-            at = np.argpartition(-likeness, min(k, likeness.shape[1]) - 1, axis=1)[:, :k]
-            value = np.take_along_axis(likeness, at, 1)
-            yield pa.RecordBatch.from_arrays([pa.array(np.repeat(ids, at.shape[1])), pa.array(home[at].ravel().astype(np.int64)), pa.array(value.ravel().astype(np.float64))], ["vec_id", "neighbour_id", "similarity"])
-
-    found = placed.select("vec_id", "vector", F.col("home")).mapInArrow(compare, "vec_id long, neighbour_id long, similarity double").where("similarity > -2")
-    # neighbour_id holds the neighbour's cell here; equal cells of one query are several neighbours.
-    cells = {r.vec_id: [b.neighbour_id for b in r.best] for r in _top(found, k).collect()}
-    rank = np.argsort(np.argsort(-(vectors @ centres.T), axis=1, kind="stable"), axis=1)
-    ranks = np.sort(np.array([rank[i, c] for i, v in enumerate(ids) for c in cells.get(int(v), [])]))
-    return int(ranks[min(len(ranks) - 1, int(np.ceil(target * len(ranks))) - 1)]) + 1 if len(ranks) else 1
-
-
-def neighbours(embeddings: DataFrame, k: int = K, cell: int = CELL, target: float = TARGET, sample: int = SAMPLE, epsilon: float = EPSILON) -> DataFrame:
-    """(vec_id, neighbour_id, rank, similarity): up to k nearest of every usable row, by cosine."""
-    spark = embeddings.sparkSession
-    scratch = Scratch(spark, "ann")
-    out_schema = "vec_id long, neighbour_id long, rank int, similarity double"
-    vector = F.col("embedding").cast("array<float>").alias("vector")
-    norm = F.sqrt(F.aggregate("vector", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")))
-    sound = ~F.exists("vector", lambda x: x.isNull() | F.isnan(x)) & (norm > 0) & (norm < F.lit(float("inf")))
-    raw = embeddings.select(F.col("vec_id").cast("long").alias("vec_id"), vector).where("vec_id is not null and vector is not null and size(vector) > 0").where(sound)
-    dims = raw.groupBy(F.size("vector").alias("d")).count().orderBy(F.desc("count"), "d").first()
-    if dims is None:
-        return spark.createDataFrame([], out_schema)
-    dim = dims.d
-    one = raw.where(F.size("vector") == dim).groupBy("vec_id").agg(F.min("vector").alias("vector"))
-    unit = scratch.keep(one.select("vec_id", F.transform("vector", lambda x: (x / norm).cast("float")).alias("vector")), "unit")
-    rows = unit.count()
-    count = max(1, min(-(-rows // cell), sample // 8))
-    # Ids first: only the vectors of the sample travel.
-    ids = scratch.keep(unit.select("vec_id").orderBy(F.xxhash64("vec_id"), "vec_id").limit(min(sample, 64 * count + 1024)), "sample")
-    picked = unit.join(F.broadcast(ids), "vec_id", "left_semi").orderBy(F.xxhash64("vec_id"), "vec_id").select("vector").toArrow()
-    picked = np.concatenate([_vectors(b.column("vector"), dim) for b in picked.to_batches() if b.num_rows] or [np.zeros((0, dim), np.float32)])
-    centres = centres_of(picked, min(count, len(picked)))
-    turn = rotation(dim)
-    held = spark.sparkContext.broadcast((centres, turn))
-
-    def ranked(how_many: int, name: str) -> DataFrame:
-        def place(batches):
-            centres, _ = held.value
-            for batch in batches:
-                near = np.argsort(-(_vectors(batch.column("vector"), dim) @ centres.T), axis=1, kind="stable")[:, :how_many].astype(np.int32)
-                ends = pa.array(np.arange(0, near.size + 1, how_many, dtype=np.int32))
-                yield pa.RecordBatch.from_arrays([batch.column("vec_id"), batch.column("vector"), pa.array(near[:, 0]), pa.ListArray.from_arrays(ends, pa.array(near.ravel()))], ["vec_id", "vector", "home", "cells"])
-
-        return scratch.keep(unit.mapInArrow(place, "vec_id long, vector array<float>, home int, cells array<int>"), name)
-
-    placed = ranked(1, "homes")
-    probes = min(len(centres), probes_for(placed, centres, dim, k, target))
-    # Base vectors of a cell go to each of its salted parts, queries to one of them.
-    salts = max(1, min(SALTS, rows // (64 * cell)))
-    nothing = F.lit(None).cast("double").alias("floor")
-    base = placed.select(F.col("home").alias("cell"), F.explode(F.sequence(F.lit(0), F.lit(salts - 1))).alias("salt"), F.lit(0).alias("kind"), "vec_id", "vector", nothing)
-
-    def search(asked: DataFrame) -> DataFrame:
-        routed = base.unionByName(asked).repartition("cell", "salt").sortWithinPartitions("cell", "salt", "kind", "vec_id")
-        return routed.mapInArrow(_searcher(held, dim, k, epsilon), "vec_id long, neighbour_id long, similarity double")
-
-    salt = F.pmod("vec_id", F.lit(salts)).cast("int").alias("salt")
-    first = scratch.keep(search(placed.select(F.col("home").alias("cell"), salt, F.lit(1).alias("kind"), "vec_id", "vector", nothing)), "first")
-    found = first
-    if probes > 1:
-        # The k-th best of the home cell is the floor in all others; without k of them there is none.
-        floors = _top(first, k).select("vec_id", F.when(F.size("best") == k, -F.element_at("best", -1)["far"]).otherwise(F.lit(-2.0)).alias("floor"))
-        others = ranked(probes, "cells").join(floors, "vec_id", "left")
-        asked = others.select(F.explode(F.slice("cells", 2, probes)).alias("cell"), salt, F.lit(1).alias("kind"), "vec_id", "vector", F.coalesce("floor", F.lit(-2.0)).alias("floor"))
-        found = first.unionByName(search(asked))
-    return _top(found, k).select("vec_id", F.posexplode("best").alias("at", "b")).select("vec_id", F.col("b.neighbour_id").alias("neighbour_id"), (F.col("at") + 1).alias("rank"), (-F.col("b.far")).alias("similarity"))
-
-
-def _searcher(held, dim: int, k: int, epsilon: float):
     def run(batches):
-        centres, turn = held.value
-        key, ids, vectors = None, [], []
-        waiting: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-
-        def flush():
-            if not waiting or not ids:
-                waiting.clear()
-                return None
-            q_ids, q, floor = (np.concatenate([w[j] for w in waiting]) for j in range(3))
-            waiting.clear()
-            floors = None if np.isnan(floor).any() else floor
-            got = search_cell(centres[key[0]], np.concatenate(vectors), np.concatenate(ids), q, q_ids, turn, k, epsilon, floors)
-            return pa.RecordBatch.from_arrays([pa.array(got[0]), pa.array(got[1]), pa.array(np.round(got[2], 6))], ["vec_id", "neighbour_id", "similarity"])
-
+        ids, vectors, part = [], [], None
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            columns = [np.asarray(batch.column(c)) for c in ("cell", "salt", "kind")]
+            split = int(np.searchsorted(np.asarray(batch.column("kind")), 1))
             numbers, values = np.asarray(batch.column("vec_id")), _vectors(batch.column("vector"), dim)
-            floor = np.asarray(batch.column("floor").fill_null(float("nan")), dtype=np.float64)
-            change = np.flatnonzero(np.any([np.diff(c) != 0 for c in columns], axis=0)) + 1
-            for a, b in zip([0, *change], [*change, batch.num_rows]):
-                here = (int(columns[0][a]), int(columns[1][a]))
-                if here != key:
-                    if (done := flush()) is not None:
-                        yield done
-                    key, ids, vectors = here, [], []
-                if columns[2][a] == 0:
-                    ids.append(numbers[a:b])
-                    vectors.append(values[a:b])
-                else:
-                    waiting.append((numbers[a:b], values[a:b], floor[a:b]))
-            if sum(len(w[0]) for w in waiting) >= 8192 and (done := flush()) is not None:
-                yield done
-        if (done := flush()) is not None:
-            yield done
+            if split:
+                ids.append(numbers[:split].copy())
+                vectors.append(values[:split].copy())
+            if split == batch.num_rows:
+                continue
+            if part is None:
+                if not ids:
+                    return
+                part = Part(np.concatenate(ids), np.concatenate(vectors), cell)
+                ids, vectors = [], []
+            row, others, likeness = part.nearest(numbers[split:], values[split:], k)
+            ends = np.searchsorted(row, np.arange(batch.num_rows - split + 1)).astype(np.int32)
+            best = pa.StructArray.from_arrays([pa.array(-likeness), pa.array(others)], ["far", "neighbour_id"])
+            yield pa.RecordBatch.from_arrays([pa.array(numbers[split:]), pa.ListArray.from_arrays(pa.array(ends), best)], ["vec_id", "best"])
 
     return run
+
+
+def _usable(embeddings: DataFrame, asked: Column | None = None) -> DataFrame:
+    """(vec_id, vector) of the rows that have an id and a direction."""
+    rows = embeddings.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("embedding").cast("array<float>").alias("vector")).where("vec_id is not null")
+    # Null parts make the sum null; NaN is above infinity.
+    square = F.aggregate("vector", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double"))
+    return (rows if asked is None else rows.where(asked)).where((square > 0) & (square < F.lit(float("inf"))))
+
+
+def neighbours(embeddings: DataFrame, k: int = K, every: int = 1, cell: int = CELL, part_bytes: int = PART_BYTES) -> DataFrame:
+    """(vec_id, neighbour_id, rank, similarity): the k nearest of every usable row whose id is divisible by ``every``, by cosine, among all usable rows.
+
+    ``cell`` and ``part_bytes`` bound the rows that are compared at once and the bytes of a
+    task's vectors; no result depends on them.
+    """
+    spark = embeddings.sparkSession
+    dims = _usable(embeddings).groupBy(F.size("vector").alias("d")).count().orderBy(F.desc("count"), "d").first()
+    if dims is None:
+        return spark.createDataFrame([], "vec_id long, neighbour_id long, rank int, similarity double")
+    dim, rows = dims["d"], dims["count"]
+    parts = max(-(-rows * dim * 4 // part_bytes), min(2 * spark.sparkContext.defaultParallelism, -(-rows // 2048)))
+
+    def single(frame: DataFrame) -> DataFrame:
+        return frame.where(F.size("vector") == dim).groupBy("vec_id").agg(F.min("vector").alias("vector"))
+
+    base = single(_usable(embeddings)).select(F.pmod(F.xxhash64("vec_id"), F.lit(parts)).cast("int").alias("part"), F.lit(0).alias("kind"), "vec_id", "vector")
+    asked = single(_usable(embeddings, F.col("vec_id") % every == 0)).select(F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("part"), F.lit(1).alias("kind"), "vec_id", "vector")
+    placed = base.unionByName(asked).repartitionById(parts, "part").sortWithinPartitions("kind")
+    found = placed.select("kind", "vec_id", "vector").mapInArrow(_searcher(dim, k, cell), "vec_id long, best array<struct<far: double, neighbour_id: long>>")
+    # Least (far, neighbour_id) first: ties to the lower id.
+    best = found.groupBy("vec_id").agg(F.slice(F.array_sort(F.flatten(F.collect_list("best"))), 1, k).alias("best"))
+    return best.select("vec_id", F.posexplode("best").alias("at", "b")).select("vec_id", F.col("b.neighbour_id").alias("neighbour_id"), (F.col("at") + 1).alias("rank"), (-F.col("b.far")).alias("similarity"))

@@ -9,7 +9,7 @@ import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
-from elimspark.llm import ann, decontam, html, langid, lines, minhash, mixing, sharding, suffix, toxicity
+from elimspark.llm import ann, decontam, html, langid, lines, minhash, mixing, queries, sharding, suffix, toxicity
 from elimspark.llm.components import connected_components
 from elimspark.llm.common import NONSPACE, Scratch, Words
 
@@ -446,6 +446,21 @@ def test_neighbours_recall(spark):
     assert len(want & got) / len(want) > 0.9
 
 
+def test_nearest_asks_for_every_fiftieth_id_and_reads_all_rows(spark):
+    frame = spark.read.parquet("/root/testdata/sf0.1/embeddings.parquet")
+    rows = frame.orderBy("vec_id").collect()
+    v = np.array([r.embedding for r in rows], float)
+    v /= np.linalg.norm(v, axis=1, keepdims=True)
+    want = {}
+    for q in range(0, len(v), 50):
+        likeness = np.round(v @ v[q], 6)
+        near = sorted((-x, i) for i, x in enumerate(likeness) if i != q)[:10]
+        want |= {(q, k): (i, -x) for k, (x, i) in enumerate(near, 1)}
+    got = {(r.vec_id, r["rank"]): (r.neighbour_id, r.similarity) for r in queries.op9_nearest(spark, "/root/testdata/sf0.1").collect()}
+    assert {k: i for k, (i, _) in got.items()} == {k: i for k, (i, _) in want.items()}
+    assert all(got[k][1] == pytest.approx(want[k][1], abs=2e-6) for k in want)
+
+
 def test_codes_bound_inner_products():
     rng = np.random.default_rng(0)
     base, query = rng.normal(size=(500, 100)).astype(np.float32), rng.normal(size=(20, 100)).astype(np.float32)
