@@ -102,12 +102,17 @@ class Part:
         floor = np.full(len(ids), -np.inf, np.float32)
         best = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0))
         waiting, count = [best], 0
+        room = np.empty((len(ids), min(self.cell, len(self.ids))), np.float32)
         for b in range(0, len(self.ids), self.cell):
-            likeness = unit @ self.unit[b : b + self.cell].T
-            if b == 0 and likeness.shape[1] > k + 1:
+            cell = self.unit[b : b + self.cell]
+            likeness = np.matmul(unit, cell.T, out=room if len(cell) == room.shape[1] else None)
+            if b == 0 and len(cell) > k + 1:
                 # The query itself may be among them, so one more than k.
                 floor = (np.partition(likeness, -k - 1, axis=1)[:, -k - 1] - self.margin).astype(np.float32)
-            row, column = np.divmod(np.flatnonzero(likeness >= floor[:, None]), likeness.shape[1])
+            # Most queries have no pair that reaches their floor.
+            some = np.flatnonzero(likeness.max(1) >= floor)
+            row, column = np.divmod(np.flatnonzero(likeness[some] >= floor[some, None]), len(cell))
+            row = some[row]
             column += b
             apart = ids[row] != self.ids[column]
             row, column = row[apart], column[apart]

@@ -461,6 +461,28 @@ def test_nearest_asks_for_every_fiftieth_id_and_reads_all_rows(spark):
     assert all(got[k][1] == pytest.approx(want[k][1], abs=2e-6) for k in want)
 
 
+def test_neighbours_equal_their_sql_and_brute_force_however_the_table_is_cut(spark):
+    """Ties, copies, repeated and negative ids, vectors of any length and a search of many parts."""
+    import duckdb
+
+    rng = np.random.default_rng(5)
+    v = rng.normal(size=(900, 24)).astype(np.float32)
+    v[300:600] = v[:300] * rng.choice([1e-12, 0.5, 3.0, 1e12], size=(300, 1)).astype(np.float32)
+    v[600:640] = 1.0
+    ids = [int(k) for k in np.arange(900) - 200]
+    rows = list(zip(ids, v.tolist())) + [(0, [-5.0] * 24), (50, [9.0] * 24), (-100, (v[7] + 1).tolist()), (1001, [0.0] * 24), (1050, [float("inf")] * 24), (1100, [None] * 24), (1150, [1.0]), (None, [1.0] * 24)]
+    frame = spark.createDataFrame(rows, "vec_id long, embedding array<float>").coalesce(1)
+    con = duckdb.connect()
+    con.register("embeddings", frame.toArrow())
+    want = sorted(con.execute(f"select vec_id, rank, neighbour_id, similarity from ({queries.OP9_SQL})").fetchall())
+    assert len(want) == 10 * sum(k % 50 == 0 for k in ids)
+    for cut in ({}, {"cell": 16, "part_bytes": 4096}):
+        got = ann.neighbours(frame, every=50, **cut)
+        assert sorted(map(tuple, got.select("vec_id", "rank", "neighbour_id", "similarity").collect())) == want
+    everything = {(r.vec_id, r["rank"]): r.neighbour_id for r in ann.neighbours(frame).collect()}
+    assert len(everything) == 9000 and all(everything[i, k] == n for i, k, n, _ in want)
+
+
 def test_codes_bound_inner_products():
     rng = np.random.default_rng(0)
     base, query = rng.normal(size=(500, 100)).astype(np.float32), rng.normal(size=(20, 100)).astype(np.float32)
