@@ -13,9 +13,10 @@ they count as plain containers, so it carries over to pages without them.
 
 Edge cases: null or empty html gives empty text and no nodes; unclosed and stray tags are
 repaired like a browser does for the common cases, in time that grows with the page's
-length; elements nested deeper than ``MAX_DEPTH`` become siblings; repeated rows are pages
-like others; an empty table gives no rows; null page_ids keep their row; without labelled pages all text outside
-scripts and styles is content.
+length; pages are worked on in groups of bounded bytes, so memory grows with the largest
+single page; elements nested deeper than ``MAX_DEPTH`` become siblings; repeated rows are
+pages like others; an empty table gives no rows; null page_ids keep their row; without
+labelled pages all text outside scripts and styles is content.
 """
 
 from __future__ import annotations
@@ -29,6 +30,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import SLICE_BYTES, text_arrays
+
 TRAIN_PAGES, STEPS, RATE, RIDGE = 200, 100, 0.5, 1e-3
 TAG = re.compile(r"<(/?)([a-zA-Z][a-zA-Z0-9]*)")
 STOP = re.compile(r"[>\"']")
@@ -255,11 +258,12 @@ def fit(pages: DataFrame, limit: int = TRAIN_PAGES) -> Model | None:
 
     Ids are chosen first, so that no other page than the chosen ones is carried anywhere.
     """
-    marked = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("html").cast("string").alias("html")).where(F.col("html").rlike("(?i)<(article|main)[ >]") & F.col("page_id").isNotNull())
+    named = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("html").cast("string").alias("html")).where("page_id is not null")
+    marked = F.col("html").rlike("(?i)<(article|main)[ >]")
     order = F.xxhash64("page_id"), F.col("page_id")
-    ids = [r.page_id for r in marked.select("page_id").orderBy(*order).limit(limit).collect()]
-    chosen = pages.sparkSession.createDataFrame([(i,) for i in ids], "page_id long")
-    rows = marked.join(F.broadcast(chosen.distinct()), "page_id", "left_semi").orderBy(*order, F.xxhash64("html"), "html").limit(limit).collect()
+    ids = {r.page_id for r in named.where(marked).select("page_id").orderBy(*order).limit(limit).collect()}
+    # The pattern is looked for in the chosen pages alone, not in all pages again.
+    rows = named.where(F.col("page_id").isin(*ids)).where(marked).orderBy(*order, F.xxhash64("html"), "html").limit(limit).collect() if ids else []
     return fit_forest(Forest([r.html for r in rows])) if rows else None
 
 
@@ -290,14 +294,18 @@ def extract_texts(pages: list[str], model: Model | None) -> list[tuple[str, int,
     return out
 
 
-def extract(pages: DataFrame, model: Model | None, group: int = 256) -> DataFrame:
-    """(page_id, content, text_nodes, content_nodes) of every row."""
+def extractor(model: Model | None, limit: int = SLICE_BYTES):
+    """Function of Arrow batches of (page_id, html); works on at most ``limit`` bytes of pages at once, or on one page."""
 
     def run(batches):
         for batch in batches:
-            for a in range(0, batch.num_rows, group):
-                part = batch.slice(a, group)
-                found = extract_texts([t or "" for t in part.column("html").to_pylist()], model)
-                yield pa.RecordBatch.from_arrays([part.column("page_id"), pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.int64()), pa.array([f[2] for f in found], pa.int64())], ["page_id", "content", "text_nodes", "content_nodes"])
+            for a, b, texts in text_arrays(batch, "html", limit):
+                found = extract_texts(texts.to_pylist(), model)
+                yield pa.RecordBatch.from_arrays([batch.column("page_id").slice(a, b - a), pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.int64()), pa.array([f[2] for f in found], pa.int64())], ["page_id", "content", "text_nodes", "content_nodes"])
+
+    return run
 
-    return pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("html").cast("string").alias("html")).mapInArrow(run, "page_id long, content string, text_nodes long, content_nodes long")
+
+def extract(pages: DataFrame, model: Model | None) -> DataFrame:
+    """(page_id, content, text_nodes, content_nodes) of every row."""
+    return pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("html").cast("string").alias("html")).mapInArrow(extractor(model), "page_id long, content string, text_nodes long, content_nodes long")

@@ -176,6 +176,30 @@ def test_html_edges(spark, html_model):
     assert html.extract(frame.limit(0), None).count() == 0
 
 
+def test_html_works_on_bounded_bytes_at_once(spark, html_model, monkeypatch):
+    """Pages of any length: no step holds more than the limit, or one page; the result is that of each page alone."""
+    pages = [PAGE.format("div", prose(k, 30) + ".", "<b>x</b>" * (60_000 if k % 9 == 4 else 400)) for k in range(40)] + [None, ""]
+    held, parse = [], html.extract_texts
+    monkeypatch.setattr(html, "extract_texts", lambda group, model: held.append([len(p) for p in group]) or parse(group, model))
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(pages)), pa.int64()), pa.array(pages)], ["page_id", "html"])
+    got = pa.Table.from_batches(html.extractor(html_model, 1 << 16)(iter([batch.slice(0, 3), batch.slice(3)])))
+    assert all(sum(h) <= 1 << 16 or len(h) == 1 for h in held) and sum(map(len, held)) == len(pages)
+    assert got.column("page_id").to_pylist() == list(range(len(pages)))
+    assert [tuple(r.values())[1:] for r in got.to_pylist()] == [parse([p or ""], html_model)[0] for p in pages]
+    frame = spark.createDataFrame([(k, p) for k, p in enumerate(pages)], "page_id long, html string")
+    assert sorted(tuple(r) for r in html.extract(frame, html_model).collect()) == [tuple(r.values()) for r in got.to_pylist()]
+
+
+def test_html_learns_from_the_marked_pages_of_least_scrambled_id(spark):
+    rows = [(k % 25 if k else None, PAGE.format("article" if k % 3 else "div", prose(k, 30) + ".", prose(k + 90, 9))) for k in range(60)]
+    frame = spark.createDataFrame(rows, "page_id long, html string")
+    marked = frame.where("page_id is not null and html like '%<article>%'").select("*", F.xxhash64("page_id").alias("a"), F.xxhash64("html").alias("b"))
+    want = html.fit_forest(html.Forest([r.html for r in marked.orderBy("a", "page_id", "b", "html").limit(7).collect()]))
+    got = html.fit(frame, 7)
+    assert all(np.array_equal(x, y) for x, y in zip(got, want))
+    assert html.fit(frame.where("html not like '%<article>%'")) is None
+
+
 @pytest.mark.parametrize("page", ["<a " * 8000, "<a '" * 8000 + ">", '<a ">"' * 8000, "<script " * 8000, "<b>" * 4000 + "</i>" * 4000, "<b>" * 4000 + "<p>x</p>" * 4000, "<b><div>" + "<i>" * 4000 + "</b>" * 4000, "<!" * 8000, "<div>" * 20_000])
 def test_html_parsing_is_linear(page):
     import time
